@@ -2,10 +2,35 @@
 
 from __future__ import annotations
 
-from codematch.llm import jaccard_join
+from codematch.llm import jaccard_join, winnowing
 from codematch.sources.io import read_table
 
 
+def op2_decontamination(spark, sf_dir):
+    """One row per document: how many of its words stand in windows of benchmark items, and of which."""
+    return winnowing.contamination(read_table(spark, sf_dir, "documents").select("doc_id", "text"), read_table(spark, sf_dir, "benchmark").select("item_id", "text"))
+
+
+OP2_SQL = r"""
+WITH d AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS ws FROM documents),
+b AS (
+  SELECT item_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS ws FROM benchmark),
+bw AS (
+  SELECT DISTINCT item_id, n, array_to_string(ws[i:i+n-1], ' ') AS w
+  FROM (SELECT item_id, ws, least(len(ws), 10) AS n, unnest(range(1, len(ws) - least(len(ws), 10) + 2)) AS i FROM b WHERE len(ws) > 0)),
+dw AS (
+  SELECT doc_id, i, n, array_to_string(ws[i:i+n-1], ' ') AS w
+  FROM (SELECT doc_id, ws, n, unnest(range(1, len(ws) - n + 2)) AS i FROM d, (SELECT DISTINCT n FROM bw) WHERE len(ws) >= n)),
+h AS (SELECT dw.doc_id, dw.i, dw.n, bw.item_id FROM dw JOIN bw ON dw.n = bw.n AND dw.w = bw.w),
+p AS (SELECT doc_id, count(DISTINCT q) AS n_hit FROM (SELECT doc_id, unnest(range(i, i + n)) AS q FROM (SELECT DISTINCT doc_id, i, n FROM h)) GROUP BY 1),
+t AS (SELECT doc_id, count(*) AS n_items, string_agg(v, ',' ORDER BY v) AS l FROM (SELECT DISTINCT doc_id, CAST(item_id AS VARCHAR) AS v FROM h) GROUP BY 1)
+SELECT d.doc_id, CAST(len(ws) AS BIGINT) AS n_words, CAST(coalesce(n_hit, 0) AS BIGINT) AS n_hit, CAST(coalesce(n_items, 0) AS BIGINT) AS n_items,
+  sha256(coalesce(l, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
+FROM d LEFT JOIN p USING (doc_id) LEFT JOIN t USING (doc_id)
+"""
+
+
 def op3_ngram_jaccard(spark, sf_dir):
     """One row per document: its shingle count and the smallest doc_id its links reach."""
     return jaccard_join.jaccard_components(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
@@ -28,8 +53,8 @@ FROM documents d LEFT JOIN n USING (doc_id) JOIN (SELECT src, min(dst) AS compon
 
 
 def queries():
-    return {"op3_ngram_jaccard": op3_ngram_jaccard}
+    return {"op2_decontamination": op2_decontamination, "op3_ngram_jaccard": op3_ngram_jaccard}
 
 
 def oracle_sql():
-    return {"op3_ngram_jaccard": OP3_SQL}
+    return {"op2_decontamination": OP2_SQL, "op3_ngram_jaccard": OP3_SQL}
