@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from codematch.llm import jaccard_join, winnowing
+from codematch.llm import jaccard_join, repeats, winnowing
 from codematch.sources.io import read_table
 
 
@@ -52,8 +52,13 @@ FROM documents d LEFT JOIN n USING (doc_id) JOIN (SELECT src, min(dst) AS compon
 """
 
 
+def op6_repeated_bytes(spark, sf_dir):
+    """One row per document: what is left when strings of 200 bytes that start anywhere else as well are cut."""
+    return repeats.cut_repeats(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def queries():
-    return {"op2_decontamination": op2_decontamination, "op3_ngram_jaccard": op3_ngram_jaccard}
+    return {"op2_decontamination": op2_decontamination, "op3_ngram_jaccard": op3_ngram_jaccard, "op6_repeated_bytes": op6_repeated_bytes}
 
 
 def oracle_sql():
