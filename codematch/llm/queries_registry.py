@@ -2,10 +2,15 @@
 
 from __future__ import annotations
 
-from codematch.llm import jaccard_join, repeats, winnowing
+from codematch.llm import jaccard_join, repeats, spotsigs, winnowing
 from codematch.sources.io import read_table
 
 
+def op1_spot_fingerprints(spark, sf_dir):
+    """One row per document: its fingerprint and that of its edited text."""
+    return spotsigs.fingerprint_edits(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op2_decontamination(spark, sf_dir):
     """One row per document: how many of its words stand in windows of benchmark items, and of which."""
     return winnowing.contamination(read_table(spark, sf_dir, "documents").select("doc_id", "text"), read_table(spark, sf_dir, "benchmark").select("item_id", "text"))
@@ -58,7 +63,7 @@ def op6_repeated_bytes(spark, sf_dir):
 
 
 def queries():
-    return {"op2_decontamination": op2_decontamination, "op3_ngram_jaccard": op3_ngram_jaccard, "op6_repeated_bytes": op6_repeated_bytes}
+    return {"op1_spot_fingerprints": op1_spot_fingerprints, "op2_decontamination": op2_decontamination, "op3_ngram_jaccard": op3_ngram_jaccard, "op6_repeated_bytes": op6_repeated_bytes}
 
 
 def oracle_sql():
