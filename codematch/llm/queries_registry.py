@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from codematch.llm import jaccard_join, repeats, spotsigs, winnowing
+from codematch.llm import jaccard_join, packing, repeats, spotsigs, warc, winnowing
 from codematch.sources.io import read_table
 
 
@@ -62,8 +62,18 @@ def op6_repeated_bytes(spark, sf_dir):
     return repeats.cut_repeats(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op4_best_fit_packing(spark, sf_dir):
+    """One row per piece of a document: the bin that holds it."""
+    return packing.pack(read_table(spark, sf_dir, "documents").select("doc_id", "text", "source"))
+
+
+def op5_warc_archives(spark, sf_dir):
+    """One row per page, as read back from the archives written."""
+    return warc.archived_pages(read_table(spark, sf_dir, "pages").select("page_id", "url", "html"))
+
+
 def queries():
-    return {"op1_spot_fingerprints": op1_spot_fingerprints, "op2_decontamination": op2_decontamination, "op3_ngram_jaccard": op3_ngram_jaccard, "op6_repeated_bytes": op6_repeated_bytes}
+    return {"op1_spot_fingerprints": op1_spot_fingerprints, "op2_decontamination": op2_decontamination, "op3_ngram_jaccard": op3_ngram_jaccard, "op4_best_fit_packing": op4_best_fit_packing, "op5_warc_archives": op5_warc_archives, "op6_repeated_bytes": op6_repeated_bytes}
 
 
 def oracle_sql():
