@@ -33,8 +33,10 @@ from codematch.sources.io import materialize
 #: Sets under FIRST are their own parts; above, each band spans a factor of SPAN.
 FIRST, SPAN = 32, 4
 SMALL = 8
+#: Bits of the sketches that are compared inside a join.
+QUICK = 512
 #: Bound of the list of frequent keys.
-FREQUENT = 100_000
+FREQUENT = 200_000
 #: Keys with this many sets or more are dealt over SALTS tasks.
 HOT, SALTS = 200_000, 64
 #: Broadcast a list of ids only up to this many.
@@ -70,12 +72,18 @@ def bands(n: int, percent: int) -> list[tuple[int, int, int]]:
 
 
 def bit_sketch(s: np.ndarray) -> bytes:
-    """One parity bit an element; as many bits as the band's top."""
-    bits = band_of(len(s))[1] * 2
+    """One parity bit an element; bits: a power of two, QUICK at least and no fewer than elements."""
+    bits = max(QUICK, 1 << (len(s) - 1).bit_length())
     places = ((s & np.uint64(0xFFFFFFFF)) * np.uint64(bits)) >> np.uint64(32)
     return np.packbits((np.bincount(places.astype(np.int64), minlength=bits) & 1).astype(np.uint8)).tobytes()
 
 
+def folded(sketch: bytes) -> list[int]:
+    """A sketch brought to QUICK bits, as signed 64-bit words."""
+    bits = np.unpackbits(np.frombuffer(sketch, np.uint8)).reshape(QUICK, -1).sum(1) & 1
+    return np.packbits(bits.astype(np.uint8)).view(">i8").astype(np.int64).tolist()
+
+
 def sketch_distance(a: bytes, b: bytes) -> int:
     """Hamming distance of two bit sketches; the longer is folded to the shorter's length (each place is a prefix of the finer one)."""
     x, y = (np.unpackbits(np.frombuffer(z, np.uint8)) for z in (a, b))
@@ -107,7 +115,7 @@ def _describe(width: int, percent: int):
 
         def frequent():
             value, count = np.unique(np.concatenate(keys), return_counts=True)
-            many = count >= 8
+            many = count >= 4
             return {"kind": [1] * int(many.sum()), "doc_id": [None] * int(many.sum()), "n": count[many].astype(np.int64), "node": _signed(value[many]), "check": [None] * int(many.sum()), "sketch": [None] * int(many.sum())}
 
         for batch in batches:
@@ -121,7 +129,7 @@ def _describe(width: int, percent: int):
                     for band, top, _ in bands(len(s), percent)[:1]:
                         keys.append(parities(s, band, top))
                         kept += len(keys[-1])
-                if kept > 3_000_000:
+                if kept > 4_000_000:
                     yield pa.RecordBatch.from_pydict(frequent(), _DESCRIBED)
                     keys, kept = [], 0
             yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out, strict=True), _DESCRIBED, strict=True)], schema=_DESCRIBED) if out else pa.RecordBatch.from_pylist([], _DESCRIBED)
@@ -239,6 +247,13 @@ def _group(percent: int, hot):
     return run
 
 
+def _quick(batches):
+    for batch in batches:
+        if batch.num_rows:
+            words = np.array([folded(x) for x in batch.column(1).to_pylist()], np.int64)
+            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(words[:, i]) for i in range(words.shape[1]))], names=["node", *(f"q{i}" for i in range(words.shape[1]))])
+
+
 def _near_by_sketch(percent: int):
     def run(batches):
         for batch in batches:
@@ -300,7 +315,7 @@ def _verified(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, width: int, p
     return materialize(both.mapInArrow(_verify(width, percent), "a long, b long").distinct(), "links")
 
 
-def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 75, frequent_from: int = 32, hot_from: int = HOT) -> DataFrame:
+def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 75, frequent_from: int = 12, hot_from: int = HOT) -> DataFrame:
     """(doc_id, n_shingles, component_id) for every row of docs(doc_id BIGINT, text).
 
     Texts link when 100 * |A & B| >= percent * |A | B| over their sets of `width`-word
@@ -341,9 +356,12 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 75, frequ
     if large:
         placed = materialize(member.join(parts.withColumnRenamed("id", "node"), "node", "left").select("key", "node", "n", F.coalesce("component", "node").alias("part")), "placed")
         torn = placed.groupBy("key").agg(F.min("part").alias("p0"), F.max("part").alias("p1")).where("p0 <> p1").select("key")
-        rest = placed.join(torn, "key")
+        words = range(QUICK // 64)
+        quick = nodes.select("node", "sketch").mapInArrow(_quick, "node long, " + ", ".join(f"q{i} long" for i in words))
+        rest = placed.join(torn, "key").join(quick, "node")
+        apart = sum((F.bit_count(F.col(f"x.q{i}").bitwiseXOR(F.col(f"y.q{i}"))) for i in words), F.lit(0))
         x, y = rest.alias("x"), rest.alias("y")
-        cross = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.part") != F.col("y.part")) & (F.col("x.n") * 100 >= F.col("y.n") * percent) & (F.col("y.n") * 100 >= F.col("x.n") * percent))
+        cross = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.part") != F.col("y.part")) & (F.col("x.n") * 100 >= F.col("y.n") * percent) & (F.col("y.n") * 100 >= F.col("x.n") * percent) & (apart * (100 + percent) <= (F.col("x.n") + F.col("y.n")) * (100 - percent)))
         cross = materialize(cross.select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct().join(pairs, ["a", "b"], "left_anti"), "cross")
         if cross.limit(1).count():
             more = _verified(cross, nodes, docs, width, percent)
