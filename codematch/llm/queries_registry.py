@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from codematch.llm import jaccard_join, packing, repeats, spotsigs, warc, winnowing
+from codematch.llm import jaccard_join, packing, quality, repeats, spotsigs, toxicity, warc, winnowing
 from codematch.sources.io import read_table
 
 
@@ -72,8 +72,18 @@ def op5_warc_archives(spark, sf_dir):
     return warc.archived_pages(read_table(spark, sf_dir, "pages").select("page_id", "url", "html"))
 
 
+def op8_toxicity(spark, sf_dir):
+    """One row per document: its toxicity score."""
+    return toxicity.score_documents(read_table(spark, sf_dir, "documents").select("doc_id", "text"), read_table(spark, sf_dir, "labels").select("doc_id", "toxic"))
+
+
+def op9_quality(spark, sf_dir):
+    """One row per document: its quality score."""
+    return quality.score_documents(read_table(spark, sf_dir, "documents").select("doc_id", "text"), read_table(spark, sf_dir, "labels").select("doc_id", "quality"))
+
+
 def queries():
-    return {"op1_spot_fingerprints": op1_spot_fingerprints, "op2_decontamination": op2_decontamination, "op3_ngram_jaccard": op3_ngram_jaccard, "op4_best_fit_packing": op4_best_fit_packing, "op5_warc_archives": op5_warc_archives, "op6_repeated_bytes": op6_repeated_bytes}
+    return {"op1_spot_fingerprints": op1_spot_fingerprints, "op2_decontamination": op2_decontamination, "op3_ngram_jaccard": op3_ngram_jaccard, "op4_best_fit_packing": op4_best_fit_packing, "op5_warc_archives": op5_warc_archives, "op6_repeated_bytes": op6_repeated_bytes, "op8_toxicity": op8_toxicity, "op9_quality": op9_quality}
 
 
 def oracle_sql():
