@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from codematch.llm import jaccard_join, packing, quality, repeats, spotsigs, toxicity, warc, winnowing
+from codematch.llm import jaccard_join, language, packing, quality, repeats, spotsigs, token_counts, toxicity, warc, winnowing
 from codematch.sources.io import read_table
 
 
@@ -82,8 +82,18 @@ def op9_quality(spark, sf_dir):
     return quality.score_documents(read_table(spark, sf_dir, "documents").select("doc_id", "text"), read_table(spark, sf_dir, "labels").select("doc_id", "quality"))
 
 
+def op7_section_tokens(spark, sf_dir):
+    """One row per document: its tokens, and those of each section."""
+    return token_counts.section_tokens(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
+def op10_language_id(spark, sf_dir):
+    """One row per document and per page: its language."""
+    return language.documents_and_pages(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "pages"))
+
+
 def queries():
-    return {"op1_spot_fingerprints": op1_spot_fingerprints, "op2_decontamination": op2_decontamination, "op3_ngram_jaccard": op3_ngram_jaccard, "op4_best_fit_packing": op4_best_fit_packing, "op5_warc_archives": op5_warc_archives, "op6_repeated_bytes": op6_repeated_bytes, "op8_toxicity": op8_toxicity, "op9_quality": op9_quality}
+    return {"op1_spot_fingerprints": op1_spot_fingerprints, "op2_decontamination": op2_decontamination, "op3_ngram_jaccard": op3_ngram_jaccard, "op4_best_fit_packing": op4_best_fit_packing, "op5_warc_archives": op5_warc_archives, "op6_repeated_bytes": op6_repeated_bytes, "op7_section_tokens": op7_section_tokens, "op8_toxicity": op8_toxicity, "op9_quality": op9_quality, "op10_language_id": op10_language_id}
 
 
 def oracle_sql():
