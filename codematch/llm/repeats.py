@@ -374,7 +374,7 @@ def _cover(span: int):
 
 def _cut(batches):
     """(text, spans) -> n_removed, n_spans, kept_sha256, kept."""
-    schema = pa.schema([("node", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept_sha256", pa.string()), ("kept", pa.binary())])
+    schema = pa.schema([("node", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept_sha256", pa.string()), ("kept", pa.string())])
     for batch in batches:
         for at in range(0, batch.num_rows, 128):
             part = batch.slice(at, 128)
@@ -386,7 +386,7 @@ def _cut(batches):
                     kept.append(text[end:s])
                     end = e
                 kept = b"".join([*kept, text[end:]])
-                out.append((node_of(text), len(text) - len(kept), len(runs), hashlib.sha256(kept).hexdigest(), kept))
+                out.append((node_of(text), len(text) - len(kept), len(runs), hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "ignore")))
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out, strict=True), schema, strict=True)], schema=schema)
 
@@ -427,7 +427,8 @@ def cut_repeats(docs: DataFrame, span: int = SPAN, gram: int = GRAM, hot_from: i
     the corpus, the same text included; strings are judged on the input, and never cross
     texts. Null texts count as empty; a text under `span` bytes keeps all. Repeated rows are
     copies of each other, so texts of `span` bytes or more are removed from all of them.
-    with_text adds kept, the remaining bytes. Other columns are ignored.
+    with_text adds kept, the remaining text; of a character that
+    a cut splits nothing stays; and node, xxhash64 of the text. Other columns are ignored.
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     reps, spans = repeated_spans(docs, span, gram, hot_from, salts)
@@ -439,10 +440,10 @@ def cut_repeats(docs: DataFrame, span: int = SPAN, gram: int = GRAM, hot_from: i
     ids = per.select("rep").distinct()
     small = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
     touched = texts.join(small, texts.doc_id.eqNullSafe(small.rep), "left_semi").join(per, F.col("text_node") == per.node).select("text", "spans")
-    cut = touched.mapInArrow(_cut, "node long, n_removed long, n_spans long, kept_sha256 string, kept binary").dropDuplicates(["node"])
+    cut = touched.mapInArrow(_cut, "node long, n_removed long, n_spans long, kept_sha256 string, kept string").dropDuplicates(["node"])
     cut = cut if with_text else cut.drop("kept")
-    plan = reps.where(copied).select("node", F.col("n_bytes").cast("long").alias("n_removed"), F.lit(1).cast("long").alias("n_spans"), F.sha2(F.lit(""), 256).alias("kept_sha256"), *([F.lit(b"").alias("kept")] if with_text else [])).unionAll(cut)
-    rows = docs.select("doc_id", F.octet_length(text).cast("long").alias("n_bytes"), h1.alias("node"), F.sha2(text, 256).alias("whole"), *([text.cast("binary").alias("bytes")] if with_text else []))
+    plan = reps.where(copied).select("node", F.col("n_bytes").cast("long").alias("n_removed"), F.lit(1).cast("long").alias("n_spans"), F.sha2(F.lit(""), 256).alias("kept_sha256"), *([F.lit("").alias("kept")] if with_text else [])).unionAll(cut)
+    rows = docs.select("doc_id", F.octet_length(text).cast("long").alias("n_bytes"), h1.alias("node"), F.sha2(text, 256).alias("whole"), *([text.alias("whole_text")] if with_text else []))
     out = rows.join(plan, "node", "left")
     zero = F.lit(0).cast("long")
-    return out.select("doc_id", "n_bytes", F.coalesce("n_removed", zero).alias("n_removed"), F.coalesce("n_spans", zero).alias("n_spans"), F.coalesce("kept_sha256", "whole").alias("kept_sha256"), *([F.coalesce("kept", "bytes").alias("kept")] if with_text else []))
+    return out.select("doc_id", "n_bytes", F.coalesce("n_removed", zero).alias("n_removed"), F.coalesce("n_spans", zero).alias("n_spans"), F.coalesce("kept_sha256", "whole").alias("kept_sha256"), *([F.coalesce("kept", "whole_text").alias("kept"), "node"] if with_text else []))

@@ -36,10 +36,8 @@ def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -
 def cut_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts without the bytes of repeated passages; a character that a cut splits goes. Documents with nothing left go."""
     cut = repeats.cut_repeats(docs.select("doc_id", "text"), with_text=True).where("n_removed > 0")
-    left = F.replace(F.decode("kept", "UTF-8"), F.lit("�"), F.lit(""))
-    changed = cut.select("doc_id", "n_removed", F.col("n_bytes").alias("was_bytes"), F.when(F.octet_length("kept") > 0, left).otherwise(F.lit("")).alias("left"))
-    size = F.octet_length(F.coalesce("text", F.lit(""))).cast("long")
-    joined = docs.join(changed.dropDuplicates(["doc_id", "was_bytes"]), docs.doc_id.eqNullSafe(changed.doc_id) & (size == changed.was_bytes), "left").drop(changed.doc_id)
+    changed = cut.select(F.col("doc_id").alias("cut_id"), F.col("node").alias("cut_node"), F.col("kept").alias("left")).dropDuplicates(["cut_id", "cut_node"])
+    joined = docs.join(changed, docs.doc_id.eqNullSafe(F.col("cut_id")) & (text_key(F.col("text"))[0] == F.col("cut_node")), "left")
     text = F.coalesce("left", "text")
     return joined.select("doc_id", text.alias("text"), "lang", "source", F.when(F.col("left").isNotNull(), F.length("left").cast("long")).otherwise(F.col("n_chars")).alias("n_chars"), "left").where("left IS NULL OR trim(left) <> ''").select(*COLUMNS)
 
