@@ -3,9 +3,21 @@
 from __future__ import annotations
 
 
+def _modules():
+    from codematch.plans import methods
+
+    return [methods]
+
+
 def queries() -> dict:
-    return {}
+    out: dict = {}
+    for m in _modules():
+        out |= m.Q
+    return out
 
 
 def oracle_sql() -> dict:
-    return {}
+    out: dict = {}
+    for m in _modules():
+        out |= m.SQL
+    return out
