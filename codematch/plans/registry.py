@@ -4,9 +4,9 @@ from __future__ import annotations
 
 
 def _modules():
-    from codematch.plans import methods
+    from codematch.plans import methods, workloads
 
-    return [methods]
+    return [methods, workloads]
 
 
 def queries() -> dict:
