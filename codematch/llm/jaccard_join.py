@@ -12,8 +12,8 @@ before the exact check, which compares whole shingle sets of whole texts.
 Skew. Equal sets are one class from the start. The shared order puts parts that many sets
 have last; it is a bounded list that only steers the order, never the result. Keys with more
 than SMALL members make no pairs: the members are tied to the smallest one, these ties are
-checked, and only members that are still in different components meet in pairs (by a join
-in Spark, bounded by sizes and sketches). Keys known as very frequent are dealt over
+checked (a member's first TIES of them), and members that are still in different components
+meet in pairs, by a join that sizes and sketches bound. Keys known as very frequent are dealt over
 several tasks.
 """
 
@@ -23,7 +23,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from codematch.llm.shingles import WordHashes, mix, set_digest, shingle_set
@@ -33,8 +33,10 @@ from codematch.sources.io import materialize
 #: Sets under FIRST are their own parts; above, each band spans a factor of SPAN.
 FIRST, SPAN = 32, 4
 SMALL = 8
-#: Bits of the sketches that are compared inside a join.
-QUICK = 512
+#: Bits of the sketches that are compared inside a join, and ties of a member that are checked first.
+QUICK, TIES = 2048, 4
+#: Times that torn groups get other pivots before their members meet in pairs.
+TURNS = 2
 #: Bound of the list of frequent keys.
 FREQUENT = 200_000
 #: Keys with this many sets or more are dealt over SALTS tasks.
@@ -315,6 +317,12 @@ def _verified(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, width: int, p
     return materialize(both.mapInArrow(_verify(width, percent), "a long, b long").distinct(), "links")
 
 
+def _torn(placed: DataFrame) -> DataFrame:
+    """Keys with members in several components; of keys with the same members, as those of a shared passage, one: count and two sums tell them."""
+    per = placed.groupBy("key").agg(F.min("part").alias("p0"), F.max("part").alias("p1"), F.count(F.lit(1)).alias("c"), *(F.sum(F.shiftright(F.xxhash64(F.lit(i), "node"), 24)).alias(f"h{i}") for i in (0, 1)))
+    return per.where("p0 <> p1").groupBy("c", "h0", "h1").agg(F.min("key").alias("key")).select("key")
+
+
 def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 75, frequent_from: int = 12, hot_from: int = HOT) -> DataFrame:
     """(doc_id, n_shingles, component_id) for every row of docs(doc_id BIGINT, text).
 
@@ -349,23 +357,36 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 75, frequ
     large = groups.where("kind = 1").limit(1).count() > 0
     if large:
         pivot = member.groupBy("key").agg(F.min("node").alias("pivot"))
-        pairs = pairs.unionAll(member.join(pivot, "key").where("node <> pivot").select(F.col("pivot").alias("a"), F.col("node").alias("b")))
+        ties = member.join(pivot, "key").where("node <> pivot").select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct()
+        ties = ties.withColumn("r", F.row_number().over(Window.partitionBy("b").orderBy("a"))).where(F.col("r") <= TIES).drop("r")
+        pairs = pairs.unionAll(ties)
     pairs = materialize(pairs.distinct(), "pairs")
     links = _verified(pairs, nodes, docs, width, percent)
     parts = materialize(star_components(links), "parts")
     if large:
-        placed = materialize(member.join(parts.withColumnRenamed("id", "node"), "node", "left").select("key", "node", "n", F.coalesce("component", "node").alias("part")), "placed")
-        torn = placed.groupBy("key").agg(F.min("part").alias("p0"), F.max("part").alias("p1")).where("p0 <> p1").select("key")
+        place = lambda: materialize(member.join(parts.withColumnRenamed("id", "node"), "node", "left").select("key", "node", "n", F.coalesce("component", "node").alias("part")), "placed")
+        join_parts = lambda more: materialize(star_components(parts.select(F.col("id").alias("a"), F.col("component").alias("b")).unionAll(more)), "parts")
+        placed = place()
+        for turn in range(TURNS):  # other members as pivots, until the rest is few
+            rest = placed.join(_torn(placed), "key")
+            pivot = rest.groupBy("key").agg(F.min_by(F.struct("node", "part"), F.xxhash64(F.lit(turn), "node")).alias("p"))
+            ties = rest.join(pivot, "key").where("part <> p.part").select(F.col("node").alias("own"), F.col("p.node").alias("other")).distinct()
+            ties = ties.withColumn("r", F.row_number().over(Window.partitionBy("own").orderBy(F.xxhash64("other")))).where(F.col("r") <= TIES)
+            ties = materialize(ties.select(F.least("own", "other").alias("a"), F.greatest("own", "other").alias("b")).distinct(), "ties")
+            more = _verified(ties, nodes, docs, width, percent)
+            if not more.limit(1).count():
+                break
+            parts = join_parts(more)
+            placed = place()
         words = range(QUICK // 64)
         quick = nodes.select("node", "sketch").mapInArrow(_quick, "node long, " + ", ".join(f"q{i} long" for i in words))
-        rest = placed.join(torn, "key").join(quick, "node")
+        rest = placed.join(_torn(placed), "key").join(quick, "node")
         apart = sum((F.bit_count(F.col(f"x.q{i}").bitwiseXOR(F.col(f"y.q{i}"))) for i in words), F.lit(0))
         x, y = rest.alias("x"), rest.alias("y")
         cross = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.part") != F.col("y.part")) & (F.col("x.n") * 100 >= F.col("y.n") * percent) & (F.col("y.n") * 100 >= F.col("x.n") * percent) & (apart * (100 + percent) <= (F.col("x.n") + F.col("y.n")) * (100 - percent)))
-        cross = materialize(cross.select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct().join(pairs, ["a", "b"], "left_anti"), "cross")
+        cross = materialize(cross.select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct(), "cross")
         if cross.limit(1).count():
-            more = _verified(cross, nodes, docs, width, percent)
-            parts = materialize(star_components(parts.select(F.col("id").alias("a"), F.col("component").alias("b")).unionAll(more)), "parts")
+            parts = join_parts(_verified(cross, nodes, docs, width, percent))
     mark = nodes.select("node", "rep").join(parts.withColumnRenamed("id", "node"), "node", "left").select("node", "rep", F.coalesce("component", "node").alias("part"))
     least_id = mark.groupBy("part").agg(F.min("rep").alias("component_id"))
     named = mark.join(least_id, "part").select("node", "component_id")
