@@ -131,7 +131,7 @@ def _describe(width: int, percent: int):
                     for band, top, _ in bands(len(s), percent)[:1]:
                         keys.append(parities(s, band, top))
                         kept += len(keys[-1])
-                if kept > 4_000_000:
+                if kept > 2_000_000:
                     yield pa.RecordBatch.from_pydict(frequent(), _DESCRIBED)
                     keys, kept = [], 0
             yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out, strict=True), _DESCRIBED, strict=True)], schema=_DESCRIBED) if out else pa.RecordBatch.from_pylist([], _DESCRIBED)
@@ -199,7 +199,7 @@ def _emit(width: int, percent: int, buckets: int, ranked, hot):
                     nodes.append(node)
                     sizes.append(len(s))
                     kept += len(keys[-1])
-                if kept > 1_000_000:
+                if kept > 400_000:
                     yield pack()
                     keys, nodes, sizes, kept = [], [], [], 0
             if len(seen) > 200_000:

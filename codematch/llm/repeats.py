@@ -319,7 +319,7 @@ def _send_contexts(span: int):
                         rows.append((None, node, m["first"], False, None, m["last"] + span))
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), _SENT, strict=True)], schema=_SENT)
-                if size > 400_000:
+                if size > 200_000:
                     seen, size = {}, 0
 
     return run
@@ -361,7 +361,7 @@ def _cover(span: int):
         size, last = 0, None
         for batch in batches:  # sorted by hash: a chunk ends only between two hashes
             for h, node, first, hot, context in zip(*(batch.column(i).to_pylist() for i in range(5)), strict=True):
-                if size > 4_000_000 and h != last:
+                if size > 1_000_000 and h != last:
                     yield from flush(rows)
                     rows, size = [], 0
                 rows.append((node, first, context, hot))
