@@ -4,9 +4,9 @@ from __future__ import annotations
 
 
 def _modules():
-    from codematch.plans import methods, workloads
+    from codematch.plans import methods, ops, workloads
 
-    return [methods, workloads]
+    return [methods, workloads, ops]
 
 
 def queries() -> dict:
