@@ -28,7 +28,6 @@ _BREAKS, _RAW_WORD = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+", r"[^\x00-\x2F\x3A-\x40\x
 WINDOW, K = 10, 5
 #: Broadcast fingerprints, windows or candidates only up to this many rows.
 BROADCAST_ROWS = 500_000
-_NONE = F.sha2(F.lit(""), 256)
 
 
 def word_hashes(text: Column) -> Column:
