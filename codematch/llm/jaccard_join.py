@@ -27,6 +27,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from codematch.llm.shingles import WordHashes, mix, set_digest, shingle_set
+from codematch.operators.graph import local_components
 from codematch.operators.graph_components import star_components
 from codematch.sources.io import materialize
 
@@ -41,6 +42,10 @@ TURNS = 2
 FREQUENT = 200_000
 #: Keys with this many sets or more are dealt over SALTS tasks.
 HOT, SALTS = 200_000, 64
+#: Links up to this many are joined to components in one task; more by star contractions. Both give the same components.
+LOCAL_LINKS = 200_000
+#: Torn groups with fewer ties than this go straight to pairs.
+FEW_TIES = 2000
 #: Broadcast a list of ids only up to this many.
 BROADCAST_IDS = 500_000
 
@@ -317,6 +322,12 @@ def _verified(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, width: int, p
     return materialize(both.mapInArrow(_verify(width, percent), "a long, b long").distinct(), "links")
 
 
+def _components(links: DataFrame) -> DataFrame:
+    if links.count() <= LOCAL_LINKS:
+        return materialize(local_components(links, LOCAL_LINKS), "parts")
+    return materialize(star_components(links), "parts")
+
+
 def _torn(placed: DataFrame) -> DataFrame:
     """Keys with members in several components; of keys with the same members, as those of a shared passage, one: count and two sums tell them."""
     per = placed.groupBy("key").agg(F.min("part").alias("p0"), F.max("part").alias("p1"), F.count(F.lit(1)).alias("c"), *(F.sum(F.shiftright(F.xxhash64(F.lit(i), "node"), 24)).alias(f"h{i}") for i in (0, 1)))
@@ -362,10 +373,10 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 75, frequ
         pairs = pairs.unionAll(ties)
     pairs = materialize(pairs.distinct(), "pairs")
     links = _verified(pairs, nodes, docs, width, percent)
-    parts = materialize(star_components(links), "parts")
+    parts = _components(links)
     if large:
         place = lambda: materialize(member.join(parts.withColumnRenamed("id", "node"), "node", "left").select("key", "node", "n", F.coalesce("component", "node").alias("part")), "placed")
-        join_parts = lambda more: materialize(star_components(parts.select(F.col("id").alias("a"), F.col("component").alias("b")).unionAll(more)), "parts")
+        join_parts = lambda more: _components(parts.select(F.col("id").alias("a"), F.col("component").alias("b")).unionAll(more))
         placed = place()
         for turn in range(TURNS):  # other members as pivots, until the rest is few
             rest = placed.join(_torn(placed), "key")
@@ -373,6 +384,8 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 75, frequ
             ties = rest.join(pivot, "key").where("part <> p.part").select(F.col("node").alias("own"), F.col("p.node").alias("other")).distinct()
             ties = ties.withColumn("r", F.row_number().over(Window.partitionBy("own").orderBy(F.xxhash64("other")))).where(F.col("r") <= TIES)
             ties = materialize(ties.select(F.least("own", "other").alias("a"), F.greatest("own", "other").alias("b")).distinct(), "ties")
+            if ties.count() < FEW_TIES:
+                break
             more = _verified(ties, nodes, docs, width, percent)
             if not more.limit(1).count():
                 break

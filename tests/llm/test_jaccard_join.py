@@ -53,6 +53,8 @@ def corpus(seed):
 @pytest.mark.parametrize(("seed", "small", "hot"), [(1, 8, 10**9), (2, 3, 10**9), (3, 2, 4)])
 def test_components_equal_all_pairs(spark, monkeypatch, seed, small, hot):
     monkeypatch.setattr(jj, "SMALL", small)
+    monkeypatch.setattr(jj, "LOCAL_LINKS", 0 if seed == 1 else 10**6)
+    monkeypatch.setattr(jj, "FEW_TIES", 0 if seed == 2 else 2000)
     rows = corpus(seed)
     docs = spark.createDataFrame([(i, t, 0, 0) for i, t in rows], "doc_id long, text string, node int, n int")
     got = jj.jaccard_components(docs, frequent_from=4, hot_from=hot).collect()
