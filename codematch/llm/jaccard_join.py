@@ -35,7 +35,7 @@ from codematch.sources.io import materialize
 FIRST, SPAN = 32, 4
 SMALL = 8
 #: Bits of the sketches that are compared inside a join, and ties of a member that are checked first.
-QUICK, TIES = 2048, 4
+QUICK, TIES = 4096, 4
 #: Times that torn groups get other pivots before their members meet in pairs.
 TURNS = 2
 #: Bound of the list of frequent keys.
