@@ -20,6 +20,7 @@ several tasks.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -34,8 +35,12 @@ from codematch.sources.io import materialize
 #: Sets under FIRST are their own parts; above, each band spans a factor of SPAN.
 FIRST, SPAN = 32, 4
 SMALL = 8
-#: Bits of the sketches that are compared inside a join, and ties of a member that are checked first.
-QUICK, TIES = 4096, 4
+#: Tiers of sizes for the join of torn groups: (smallest size above the tier, 64-bit words of its sketches). Sketches with about a bit an element tell most pairs apart.
+TIERS = ((1024, 16), (4096, 64), (12288, 128), (1 << 62, 256))
+#: Sketches of so many words are compared as columns of their own, wider ones as arrays.
+COLUMNS = 64
+#: Ties of a member that are checked first.
+TIES = 4
 #: Times that torn groups get other pivots before their members meet in pairs.
 TURNS = 2
 #: Bound of the list of frequent keys.
@@ -78,17 +83,24 @@ def bands(n: int, percent: int) -> list[tuple[int, int, int]]:
     return out
 
 
-def bit_sketch(s: np.ndarray) -> bytes:
-    """One parity bit an element; bits: a power of two, QUICK at least and no fewer than elements."""
-    bits = max(QUICK, 1 << (len(s) - 1).bit_length())
+def tiers(n: int, percent: int) -> list[int]:
+    """Tiers in which a set of n elements can be one of a pair whose larger set belongs there."""
+    return [i for i, (top, _) in enumerate(TIERS) if n < top and 100 * n // percent >= (TIERS[i - 1][0] if i else 0)]
+
+
+def bit_sketch(s: np.ndarray, percent: int = 75) -> bytes:
+    """One parity bit an element; bits: a power of two, no fewer than elements or than the set's tiers compare."""
+    bits = max(64 * TIERS[tiers(len(s), percent)[-1]][1], 1 << (len(s) - 1).bit_length())
     places = ((s & np.uint64(0xFFFFFFFF)) * np.uint64(bits)) >> np.uint64(32)
     return np.packbits((np.bincount(places.astype(np.int64), minlength=bits) & 1).astype(np.uint8)).tobytes()
 
 
-def folded(sketch: bytes) -> list[int]:
-    """A sketch brought to QUICK bits, as signed 64-bit words."""
-    bits = np.unpackbits(np.frombuffer(sketch, np.uint8)).reshape(QUICK, -1).sum(1) & 1
-    return np.packbits(bits.astype(np.uint8)).view(">i8").astype(np.int64).tolist()
+def folded(sketch: bytes, words: int) -> np.ndarray:
+    """A sketch brought to so many 64-bit words."""
+    if len(sketch) > 8 * words:
+        bits = np.unpackbits(np.frombuffer(sketch, np.uint8)).reshape(64 * words, -1).sum(1) & 1
+        sketch = np.packbits(bits.astype(np.uint8)).tobytes()
+    return np.frombuffer(sketch, np.int64)
 
 
 def sketch_distance(a: bytes, b: bytes) -> int:
@@ -130,7 +142,7 @@ def _describe(width: int, percent: int):
             for doc, text in _rows(batch):
                 s = shingle_set(text, width, cache)
                 node, check = set_digest(s)
-                out.append((0, doc, len(s), node, check, bit_sketch(s) if len(s) else None))
+                out.append((0, doc, len(s), node, check, bit_sketch(s, percent) if len(s) else None))
                 if len(s) and node not in seen:
                     seen.add(node)
                     for band, top, _ in bands(len(s), percent)[:1]:
@@ -254,11 +266,36 @@ def _group(percent: int, hot):
     return run
 
 
-def _quick(batches):
-    for batch in batches:
-        if batch.num_rows:
-            words = np.array([folded(x) for x in batch.column(1).to_pylist()], np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(words[:, i]) for i in range(words.shape[1]))], names=["node", *(f"q{i}" for i in range(words.shape[1]))])
+def _folded(words: int):
+    """(node, sketch) with the sketch as columns q0, q1 and so on, or as one array q."""
+    columns = words <= COLUMNS
+
+    def run(batches):
+        for batch in batches:
+            if batch.num_rows:
+                q = np.array([folded(x, words) for x in batch.column(1).to_pylist()])
+                if columns:
+                    yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(q[:, i]) for i in range(words))], names=["node", *(f"q{i}" for i in range(words))])
+                else:
+                    yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(np.arange(len(q) + 1, dtype=np.int32) * words), pa.array(q.ravel()))], names=["node", "q"])
+
+    return run
+
+
+def _pairs_of_tier(rest: DataFrame, nodes: DataFrame, tier: int, percent: int) -> DataFrame:
+    """(a, b) of torn groups whose larger set belongs to the tier, by sizes and a sketch bound inside the join."""
+    (top, words), low = TIERS[tier], TIERS[tier - 1][0] if tier else 0
+    fits = f"n < {top} AND n * 100 >= {low} * {percent}"
+    kind = ", ".join(f"q{i} long" for i in range(words)) if words <= COLUMNS else "q array<long>"
+    sketches = nodes.where(fits).select("node", "sketch").mapInArrow(_folded(words), f"node long, {kind}")
+    own = rest.where(fits).join(sketches, "node")
+    if words <= COLUMNS:
+        apart = " + ".join(f"bit_count(x.q{i} ^ y.q{i})" for i in range(words))
+    else:
+        apart = "aggregate(zip_with(x.q, y.q, (v, w) -> bit_count(v ^ w)), 0, (v, w) -> v + w)"
+    sizes = f"x.n * 100 >= y.n * {percent} AND y.n * 100 >= x.n * {percent} AND greatest(x.n, y.n) >= {low}"
+    close = F.expr(f"x.key = y.key AND x.node < y.node AND x.part <> y.part AND {sizes} AND ({apart}) * {100 + percent} <= (x.n + y.n) * {100 - percent}")
+    return own.alias("x").join(own.alias("y"), close).select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct()
 
 
 def _near_by_sketch(percent: int):
@@ -391,13 +428,10 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 75, frequ
                 break
             parts = join_parts(more)
             placed = place()
-        words = range(QUICK // 64)
-        quick = nodes.select("node", "sketch").mapInArrow(_quick, "node long, " + ", ".join(f"q{i} long" for i in words))
-        rest = placed.join(_torn(placed), "key").join(quick, "node")
-        apart = sum((F.bit_count(F.col(f"x.q{i}").bitwiseXOR(F.col(f"y.q{i}"))) for i in words), F.lit(0))
-        x, y = rest.alias("x"), rest.alias("y")
-        cross = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.part") != F.col("y.part")) & (F.col("x.n") * 100 >= F.col("y.n") * percent) & (F.col("y.n") * 100 >= F.col("x.n") * percent) & (apart * (100 + percent) <= (F.col("x.n") + F.col("y.n")) * (100 - percent)))
-        cross = materialize(cross.select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct(), "cross")
+        rest = materialize(placed.join(_torn(placed), "key"), "torn")
+        found = rest.agg(*(F.count_if(F.expr(f"n < {top} AND n * 100 >= {TIERS[i - 1][0] if i else 0} * {percent}")).alias(f"t{i}") for i, (top, _) in enumerate(TIERS))).first()
+        cross = [_pairs_of_tier(rest, nodes, i, percent) for i in range(len(TIERS)) if found[i]]
+        cross = materialize(reduce(DataFrame.unionAll, cross, pairs.limit(0)), "cross")
         if cross.limit(1).count():
             parts = join_parts(_verified(cross, nodes, docs, width, percent))
     mark = nodes.select("node", "rep").join(parts.withColumnRenamed("id", "node"), "node", "left").select("node", "rep", F.coalesce("component", "node").alias("part"))

@@ -55,6 +55,9 @@ def test_components_equal_all_pairs(spark, monkeypatch, seed, small, hot):
     monkeypatch.setattr(jj, "SMALL", small)
     monkeypatch.setattr(jj, "LOCAL_LINKS", 0 if seed == 1 else 10**6)
     monkeypatch.setattr(jj, "FEW_TIES", 0 if seed == 2 else 2000)
+    if seed > 1:  # pairs within small tiers and across their borders
+        monkeypatch.setattr(jj, "TIERS", ((40, 1), (100, 4), (1 << 62, 8)))
+        monkeypatch.setattr(jj, "COLUMNS", 4)
     rows = corpus(seed)
     docs = spark.createDataFrame([(i, t, 0, 0) for i, t in rows], "doc_id long, text string, node int, n int")
     got = jj.jaccard_components(docs, frequent_from=4, hot_from=hot).collect()
@@ -77,8 +80,16 @@ def test_sketch_bounds_the_difference_and_parts_meet():
         a, b = (shingle_set(" ".join(map(str, x)).encode(), 5, cache) for x in (words, other))
         apart = len(np.setxor1d(a, b))
         assert jj.sketch_distance(jj.bit_sketch(a), jj.bit_sketch(b)) <= apart
-        assert sum(bin((x ^ y) & (2**64 - 1)).count("1") for x, y in zip(jj.folded(jj.bit_sketch(a)), jj.folded(jj.bit_sketch(b)), strict=True)) <= apart
+        x, y = (jj.folded(jj.bit_sketch(s), 16) for s in (a, b))
+        assert int(np.bitwise_count((x ^ y).view(np.uint64)).sum()) <= apart
         common = len(np.intersect1d(a, b))
         if 100 * common >= 75 * (len(a) + len(b) - common):
             keys = [{int(k) for band, top, need in jj.bands(len(s), 75) for k in jj.choose(jj.parities(s, band, top), need, none)} for s in (a, b)]
             assert keys[0] & keys[1]
+
+
+def test_similar_sets_meet_in_the_tier_of_the_larger():
+    for n in [1, 1023, 1024, 4095, 4096, 12287, 12288, 10**6]:
+        own = jj.tiers(n, 75)[0]
+        assert n < jj.TIERS[own][0] and all(own in jj.tiers(k, 75) for k in range(-(-n * 75 // 100), n + 1, max(1, n // 50)))
+        assert 8 * len(jj.bit_sketch(np.arange(n, dtype=np.uint64))) >= max(n, *(64 * jj.TIERS[i][1] for i in jj.tiers(n, 75)))
