@@ -19,6 +19,7 @@ several tasks.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 from functools import reduce
 
@@ -117,6 +118,24 @@ def _signed(x: np.ndarray) -> np.ndarray:
     return x.astype(np.uint64).view(np.int64)
 
 
+def _release() -> None:
+    """Give memory that a finished task no longer needs back to the system: idle workers hold none."""
+    pa.default_memory_pool().release_unused()
+    getattr(ctypes.CDLL(None), "malloc_trim", lambda _: 0)(0)
+
+
+def _released(run):
+    """run over batches, and _release at the end."""
+
+    def whole(batches):
+        try:
+            yield from run(batches)
+        finally:
+            _release()
+
+    return whole
+
+
 def _rows(batch: pa.RecordBatch, size: int = 512) -> Iterator[tuple]:
     """Rows with the last column, a text, as bytes; few at a time."""
     for at in range(0, batch.num_rows, size):
@@ -287,7 +306,7 @@ def _pairs_of_tier(rest: DataFrame, nodes: DataFrame, tier: int, percent: int) -
     (top, words), low = TIERS[tier], TIERS[tier - 1][0] if tier else 0
     fits = f"n < {top} AND n * 100 >= {low} * {percent}"
     kind = ", ".join(f"q{i} long" for i in range(words)) if words <= COLUMNS else "q array<long>"
-    sketches = nodes.where(fits).select("node", "sketch").mapInArrow(_folded(words), f"node long, {kind}")
+    sketches = nodes.where(fits).select("node", "sketch").mapInArrow(_released(_folded(words)), f"node long, {kind}")
     own = rest.where(fits).join(sketches, "node")
     if words <= COLUMNS:
         apart = " + ".join(f"bit_count(x.q{i} ^ y.q{i})" for i in range(words))
@@ -317,7 +336,7 @@ def _verify(width: int, percent: int):
         def of(text):
             s = sets.get(text)
             if s is None:
-                if len(sets) > 256:
+                if len(sets) > 256 or sum(len(x[0]) for x in sets.values()) > 2_000_000:
                     sets.clear()
                 s = shingle_set(text, width, cache)
                 s = sets[text] = (s, set_digest(s)[0])
@@ -344,7 +363,7 @@ def _verify(width: int, percent: int):
 def _verified(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, width: int, percent: int) -> DataFrame:
     """Of the candidate pairs (a, b), those that are links."""
     end = lambda x: nodes.select(F.col("node").alias(x), F.col("rep").alias(f"rep_{x}"), F.col("n").alias(f"n_{x}"), F.col("sketch").alias(f"s_{x}"))
-    near = pairs.join(end("a"), "a").join(end("b"), "b").select("a", "b", "n_a", "n_b", "s_a", "s_b").mapInArrow(_near_by_sketch(percent), "a long, b long")
+    near = pairs.join(end("a"), "a").join(end("b"), "b").select("a", "b", "n_a", "n_b", "s_a", "s_b").mapInArrow(_released(_near_by_sketch(percent)), "a long, b long")
     near = materialize(near, "near")
     reps = nodes.select("node", "rep")
     wanted = near.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(reps, "node").select("rep").distinct()
@@ -356,7 +375,7 @@ def _verified(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, width: int, p
     left, right = side("a"), side("b")
     one = named.join(right, named.rep_b.eqNullSafe(right.rep_b)).select("a", "b", named.rep_a, "text_b")
     both = one.join(left, one.rep_a.eqNullSafe(left.rep_a)).select("a", "b", "text_a", "text_b")
-    return materialize(both.mapInArrow(_verify(width, percent), "a long, b long").distinct(), "links")
+    return materialize(both.mapInArrow(_released(_verify(width, percent)), "a long, b long").distinct(), "links")
 
 
 def _components(links: DataFrame) -> DataFrame:
@@ -383,7 +402,7 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 75, frequ
     """
     spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    all_rows = materialize(docs.mapInArrow(_describe(width, percent), "kind int, doc_id long, n long, node long, check long, sketch binary"), "described")
+    all_rows = materialize(docs.mapInArrow(_released(_describe(width, percent)), "kind int, doc_id long, n long, node long, check long, sketch binary"), "described")
     rows = all_rows.where("kind = 0")
     nodes = materialize(rows.where("n > 0").groupBy("node").agg(F.min("doc_id").alias("rep"), F.min("n").alias("n"), F.min("check").alias("c0"), F.max("check").alias("c1"), F.first("sketch").alias("sketch")), "nodes")
     if nodes.where("c0 <> c1").limit(1).count():
@@ -397,8 +416,8 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 75, frequ
 
     least = int(spark.conf.get("spark.sql.shuffle.partitions"))
     buckets = max(least, int(total * 0.4 // 1_500_000) + 1)
-    packed = docs.mapInArrow(_emit(width, percent, buckets, ranked, hot), "bucket int, keys binary, nodes binary, sizes binary")
-    groups = materialize(packed.repartition(buckets, "bucket").mapInArrow(_group(percent, hot), "kind int, key long, a long, b long, n long"), "groups")
+    packed = docs.mapInArrow(_released(_emit(width, percent, buckets, ranked, hot)), "bucket int, keys binary, nodes binary, sizes binary")
+    groups = materialize(packed.repartition(buckets, "bucket").mapInArrow(_released(_group(percent, hot)), "kind int, key long, a long, b long, n long"), "groups")
 
     member = groups.where("kind = 1").select("key", F.col("a").alias("node"), "n").distinct()
     pairs = groups.where("kind = 0").select("a", "b")
