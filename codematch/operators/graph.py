@@ -50,6 +50,44 @@ def pair_hits_prefix(tokens: DataFrame, m: int, min_hits: int) -> DataFrame:
     return both.select("a", "b", F.size(F.array_intersect("s", "t")).cast("long").alias("hits")).where(F.col("hits") >= min_hits)
 
 
+def pair_hits_blocks(codes: DataFrame, m: int, min_hits: int) -> DataFrame:
+    """The pairs with min_hits or more of m equal tokens, over all tokens however frequent, without a stoplist.
+
+    Such a pair differs in m - min_hits places at most, so of one block more than that at
+    least one is equal throughout. Pairs meet on equal blocks, in the first such block only,
+    and their hits are counted there; keys are hashes, which can add candidates but no pairs.
+    """
+    n = m - min_hits + 1
+    if not 1 <= n <= m:
+        raise ValueError(f"min_hits must be 1 to {m}")
+    at = [i * m // n for i in range(n + 1)]
+    half = m // 2
+    one = codes.select("id", "c1", F.coalesce("c2", "c1").alias("c2"), "fine")
+    first, second = F.col("c1"), F.col("c2")
+    keys = [F.xxhash64(F.lit(i), *([first] if a < half else []), *([second] if b > half else []), F.slice("fine", a + 1, b - a)) for i, (a, b) in enumerate(zip(at, at[1:], strict=False))]
+    rows = one.withColumn("keys", F.array(*keys)).select("*", F.posexplode("keys").alias("block", "key"))
+    x, y = rows.alias("x"), rows.alias("y")
+    earlier = F.exists(F.zip_with(F.slice("x.keys", F.lit(1), F.col("x.block")), F.slice("y.keys", F.lit(1), F.col("x.block")), lambda p, q: p == q), lambda e: e)
+    hits = score.hits_pair("x", "y", m).cast("long")
+    met = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.block") == F.col("y.block")) & (F.col("x.id") < F.col("y.id"))).where((hits >= min_hits) & ~earlier)
+    return met.select(F.col("x.id").alias("a"), F.col("y.id").alias("b"), hits.alias("hits"))
+
+
+def links(codes: DataFrame, m: int, t: int, strict: bool = True, broadcast_up_to: int = 100_000) -> DataFrame:
+    """(a, b) with the components of all pairs of more than t equal tokens (t or more if not strict), t < m.
+
+    Items of equal codes are one class and tied to its smallest id, so n copies make n - 1
+    rows; only the classes meet in pairs.
+    """
+    least = t + 1 if strict else t
+    own = codes.select("id", "c1", F.coalesce("c2", "c1").alias("c2"), "fine")
+    classes = materialize(own.groupBy("c1", "c2", "fine").agg(F.min("id").alias("rep"), F.countDistinct("id").alias("n")), "classes")
+    more = classes.where("n > 1").drop("n")
+    more = F.broadcast(more) if more.limit(broadcast_up_to + 1).count() <= broadcast_up_to else more
+    same = own.join(more, ["c1", "c2", "fine"]).where("id <> rep").select(F.col("rep").alias("a"), F.col("id").alias("b"))
+    return pair_hits_blocks(classes.withColumnRenamed("rep", "id"), m, least).select("a", "b").unionAll(same)
+
+
 def edges(pairs: DataFrame, t: int, strict: bool = True) -> DataFrame:
     """Pairs with more than t hits; with t or more if not strict."""
     return pairs.where(F.col("hits") > t if strict else F.col("hits") >= t)
@@ -121,6 +159,12 @@ def cluster(tokens: DataFrame, t: int = 3, lo: int = 10, hi: int = 10_000, stric
     return components(linked, tokens.select("id").distinct(), method)
 
 
+def cluster_all(codes: DataFrame, m: int, t: int, strict: bool = True, method: str = "star") -> DataFrame:
+    """The chain without a stoplist: components of all items by every pair of more than t equal tokens."""
+    codes = materialize(codes.select("id", "c1", "c2", "fine"), "codes")
+    return components(materialize(links(codes, m, t, strict), "edges"), codes.select("id").distinct(), method)
+
+
 def noisy_labels(found: DataFrame, lo: int = 100, hi: int = 10_000) -> DataFrame:
     """(id, pseudo_label) of the items of mid-size clusters."""
     mid = found.groupBy("component").agg(F.count(F.lit(1)).alias("n")).where((F.col("n") >= lo) & (F.col("n") <= hi))

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from codematch.operators import encode as en, graph, metrics, model as md, prep, querysets, score, search, tokens as tk, vectors
 from codematch.operators.kmeans import lloyd_rounds
 from codematch.plans import sql
+from codematch.sources.io import materialize
 
 K, M, KS = 8, 8, 16
 #: Parameters of the document model.
@@ -314,12 +315,17 @@ _DS = _DT + ",\n" + sql.stoplist(2, 200) + ",\n" + sql.pairs("s_")
 T_EDGE = 11
 
 
+def doc_codes(spark, sf):
+    return codes_of(spark, sf, "documents", DK, DM, DKS)
+
+
 def doc_tokens(spark, sf):
-    return tk.flatten(codes_of(spark, sf, "documents", DK, DM, DKS))
+    return tk.flatten(doc_codes(spark, sf))
 
 
-def doc_pairs(spark, sf):
-    return graph.pair_hits(tk.stoplist(doc_tokens(spark, sf), 2, 200))
+def doc_pairs(spark, sf, least):
+    """Over all tokens: the SQL's stoplist drops none at sf0.01, and pairs beyond."""
+    return graph.pair_hits_blocks(materialize(doc_codes(spark, sf), "codes"), DM, least)
 
 
 @query("token_stoplist", f"WITH {_DT}, {sql.stoplist(2, 200)} SELECT id, token FROM s_tokens")
@@ -334,29 +340,29 @@ def token_fanout(spark, sf):
 
 @query("pair_hits", f"WITH {_DS} SELECT a, b, hits FROM pairs WHERE hits >= 6")
 def pair_hits(spark, sf):
-    return graph.pair_hits(tk.stoplist(doc_tokens(spark, sf), 2, 200), 6)
+    return doc_pairs(spark, sf, 6)
 
 
 @query("edges_strict", f"WITH {_DS} SELECT a, b, hits FROM pairs WHERE hits > {T_EDGE}")
 def edges_strict(spark, sf):
-    return graph.edges(doc_pairs(spark, sf), T_EDGE)
+    return graph.edges(doc_pairs(spark, sf, T_EDGE + 1), T_EDGE)
 
 
 @query("edges_loose", f"WITH {_DS} SELECT a, b, hits FROM pairs WHERE hits >= {T_EDGE}")
 def edges_loose(spark, sf):
-    return graph.edges(doc_pairs(spark, sf), T_EDGE, strict=False)
+    return graph.edges(doc_pairs(spark, sf, T_EDGE), T_EDGE, strict=False)
 
 
 _E = _DS + f",\nedges AS (SELECT a, b FROM pairs WHERE hits > {T_EDGE})"
 _COMP = f"WITH RECURSIVE {_E}, {sql.components('edges')} SELECT id, component FROM comp"
 for _m in ("star", "label", "local"):
-    query("components" if _m == "star" else f"components_{_m}", _COMP)(lambda spark, sf, m=_m: graph.components(graph.edges(doc_pairs(spark, sf), T_EDGE), method=m))
+    query("components" if _m == "star" else f"components_{_m}", _COMP)(lambda spark, sf, m=_m: graph.components(graph.links(materialize(doc_codes(spark, sf), "codes"), DM, T_EDGE), method=m))
 
 _NODES = f"WITH RECURSIVE {_E}, {sql.components('edges', 'SELECT id FROM codes')}"
 
 
 def clustered(spark, sf):
-    return graph.cluster(doc_tokens(spark, sf), T_EDGE, 2, 200)
+    return graph.cluster_all(doc_codes(spark, sf), DM, T_EDGE)
 
 
 query("components_nodes", f"{_NODES} SELECT id, component FROM comp")(clustered)

@@ -304,7 +304,7 @@ _PART = sql.codes("parts", K, M, KS) + ",\n" + sql.tokens(M)
 
 @query("cluster_parts", f"WITH RECURSIVE {_PART}, {sql.stoplist(2, 500)}, {sql.pairs('s_')}, edges AS (SELECT a, b FROM pairs WHERE hits > 6), {sql.components('edges', 'SELECT id FROM codes')} SELECT id, component FROM comp")
 def cluster_parts(spark, sf):
-    return graph.cluster(tk.flatten(codes_of(spark, sf, "parts")), 6, 2, 500)
+    return graph.cluster_all(codes_of(spark, sf, "parts"), M, 6)
 
 
 _TURN = sql.codes("turns", K, M, KS) + ",\n" + sql.tokens(M)
@@ -312,7 +312,7 @@ _TURN = sql.codes("turns", K, M, KS) + ",\n" + sql.tokens(M)
 
 @query("cluster_turns", f"WITH RECURSIVE {_TURN}, {sql.stoplist(2, 300)}, {sql.pairs('s_')}, edges AS (SELECT a, b FROM pairs WHERE hits > 5), {sql.components('edges', 'SELECT id FROM codes')} SELECT id, component FROM comp")
 def cluster_turns(spark, sf):
-    return graph.cluster(tk.flatten(codes_of(spark, sf, "turns")), 5, 2, 300)
+    return graph.cluster_all(codes_of(spark, sf, "turns"), M, 5)
 
 
 @query("recommend_parts_for_customers", f"""WITH {_PART}, fav AS (SELECT DISTINCT o_custkey AS set_id, l_partkey AS id FROM orders JOIN lineitem ON l_orderkey = o_orderkey),

@@ -171,3 +171,26 @@ def test_streams(spark, sf, tmp_path, toy, points):
     q = stream.suppress_near_repeats(live, 2, 1).writeStream.format("memory").queryName("s").outputMode("append").trigger(availableNow=True).start()
     q.awaitTermination()
     assert {r.id for r in spark.table("s").collect()} == {1, 3, 4}
+
+
+def test_clusters_count_tokens_however_frequent(spark, sf, tmp_path):
+    from codematch.plans.methods import Q
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet").where("doc_id < 100")
+    text = docs.where("n_chars > 1000").orderBy("doc_id").first().text
+    copies = spark.range(1000, 1250).select(F.col("id").alias("doc_id"), F.lit(text).alias("text"), F.lit("en").alias("lang"))
+    docs.select("doc_id", "text", "lang").unionByName(copies).write.parquet(f"{tmp_path}/documents.parquet")
+    found = {r.id: r.component for r in Q["cluster_documents"](spark, str(tmp_path)).collect()}
+    assert len({found[i] for i in range(1000, 1250)}) == 1
+    assert {(r.a, r.b) for r in Q["edges_strict"](spark, str(tmp_path)).where("a >= 1000").collect()} == set(itertools.combinations(range(1000, 1250), 2))
+
+
+def test_pairs_by_blocks_equal_all_pairs(spark, emb):
+    codes = en.encode(emb, anchor(emb, 8, 8, 16)).cache()
+    pairs = {(r.a, r.b): r.hits for r in graph.pair_hits_naive(codes, 8).collect()}
+    twins = codes.unionByName(codes.where("id % 3 = 0").withColumn("id", F.col("id") + 10**6))
+    for h in (1, 2, 4, 6):
+        got = graph.pair_hits_blocks(codes, 8, h).collect()
+        assert len(got) == len({(r.a, r.b) for r in got}) and {(r.a, r.b): r.hits for r in got} == {p: n for p, n in pairs.items() if n >= h}
+    want = graph.union_find([(r.a, r.b) for r in graph.pair_hits_naive(twins, 8).where("hits > 3").collect()])
+    assert {r.id: r.component for r in graph.cluster_all(twins, 8, 3).where("id <> component").collect()} == {i: c for i, c in want.items() if i != c}
