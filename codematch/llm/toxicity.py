@@ -1,9 +1,9 @@
 """Toxicity by a factorization machine over hashed terms.
 
 A text is the set of its words, each hashed to one of BUCKETS terms. Terms that go with the
-label clearly more or less often than chance enter the machine, with a weight and a vector
-each: the score is the logistic of the weights' sum and of the products of all pairs of
-vectors, so a term may count only next to another one.
+label clearly more or less often than chance, alone or together with another term, enter the
+machine, with a weight and a vector each: the score is the logistic of the weights' sum and of
+the products of all pairs of vectors, so a term may count only next to another one.
 
 The machine is fitted on the driver, on at most SAMPLE labelled documents, those with the
 smallest hashes; all documents are scored where they lie.
@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 BUCKETS = 1 << 20
-SAMPLE, TERMS, RANK = 20_000, 4096, 6
+SAMPLE, RANK = 20_000, 6
 WORD = re.compile(r"[^\W\d_]+")
 
 
@@ -59,8 +59,8 @@ class Machine:
         return float(self.w0 + self.w[own].sum() + 0.5 * (s * s - (v * v).sum(0)).sum())
 
 
-def choose_terms(rows: list[np.ndarray], labels: np.ndarray, most: int = TERMS, least_z: float = 4.5, least_rows: int = 4) -> np.ndarray:
-    """The buckets whose share of label 1 is furthest from the overall share, in standard errors."""
+def choose_terms(rows: list[np.ndarray], labels: np.ndarray, least_z: float = 4.5, least_rows: int = 4) -> np.ndarray:
+    """The buckets whose share of label 1 is least_z standard errors from the overall share, and those of telling pairs."""
     base = float(np.clip(labels.mean(), 1e-6, 1 - 1e-6)) if len(labels) else 0.5
     if not rows or not sum(map(len, rows)):
         return np.empty(0, np.int64)
@@ -68,8 +68,66 @@ def choose_terms(rows: list[np.ndarray], labels: np.ndarray, most: int = TERMS,
     n, one = np.bincount(flat, minlength=BUCKETS), np.bincount(flat, weights=y, minlength=BUCKETS)
     z = np.abs(one - n * base) / np.sqrt(np.maximum(n, 1) * base * (1 - base))
     z[n < least_rows] = 0
-    order = np.argsort(-z, kind="stable")[:most]
-    return np.sort(order[z[order] >= least_z])
+    return np.union1d(np.flatnonzero(z >= least_z), pair_terms(flat, rows, labels, n, one, base, least_rows))
+
+
+def pair_terms(flat: np.ndarray, rows: list[np.ndarray], labels: np.ndarray, n: np.ndarray, one: np.ndarray, base: float, least_rows: int, chance: float = 0.05) -> np.ndarray:
+    """The buckets of pairs that say more together than either alone.
+
+    The share of a label among texts with both terms must be above the shares of each term
+    and of all texts, by a Chernoff bound that holds for all pairs of terms at once. That
+    takes a least number of texts with both terms and the label, so only terms in so many
+    are paired; texts of a term are a bit set.
+    """
+    vocabulary = int((n >= least_rows).sum())
+    if vocabulary < 2:
+        return np.empty(0, np.int64)
+    bound = np.log(vocabulary * (vocabulary - 1.0) / chance)  # both labels of each pair
+    text = np.repeat(np.arange(len(rows)), [len(r) for r in rows])
+    telling = np.zeros(BUCKETS, bool)
+    for label, share in ((1, base), (0, 1 - base)):
+        of_label = one if label else n - one
+        least = max(least_rows, int(np.ceil(bound / -np.log(share))))
+        terms = np.flatnonzero((n >= least_rows) & (of_label >= least))
+        if len(terms) < 2:
+            continue
+        bits = []
+        for mine in (labels == label, labels != label):
+            at = np.searchsorted(terms, flat)
+            use = mine[text] & (terms[np.minimum(at, len(terms) - 1)] == flat)
+            place = np.cumsum(mine) - 1
+            words = np.zeros((int(mine.sum()) // 64 + 1, len(terms)), np.uint64)
+            w = place[text[use]]
+            np.bitwise_or.at(words, (w // 64, at[use]), np.uint64(1) << (w % 64).astype(np.uint64))
+            bits.append(words)
+        alone = np.maximum(of_label[terms] / n[terms], share)
+        for i in range(len(terms) - 1):
+            with_label = _common(bits[0], i, np.arange(i + 1, len(terms)))
+            j = np.flatnonzero(with_label >= least)
+            k = with_label[j]
+            j = j + i + 1
+            most = np.maximum(alone[i], alone[j])
+            some = k * -np.log(np.minimum(most, 1 - 1e-12)) >= bound  # even if no other text had both
+            j, k, most = j[some], k[some], most[some]
+            if len(j):
+                both = k + _common(bits[1], i, j)
+                got = k / both
+                rest = np.where(got < 1, (1 - got) * np.log(np.maximum(1 - got, 1e-300) / np.maximum(1 - most, 1e-12)), 0.0)
+                sure = (got > most) & (both * (got * np.log(got / most) + rest) >= bound)
+                if sure.any():
+                    telling[terms[i]] = True
+                    telling[terms[j[sure]]] = True
+    return np.flatnonzero(telling)
+
+
+def _common(words: np.ndarray, i: int, j: np.ndarray) -> np.ndarray:
+    """How many bits column i has in common with each of the columns j."""
+    at = np.flatnonzero(words[:, i])
+    total = np.zeros(len(j), np.int64)
+    run = slice(j[0], j[-1] + 1) if len(j) and j[-1] - j[0] + 1 == len(j) else j
+    for w in at:
+        total += np.bitwise_count(words[w, run] & words[w, i])
+    return total
 
 
 def fit(rows: list[np.ndarray], labels: np.ndarray, rank: int = RANK, rounds: int = 60, step: float = 0.15, decay: float = 2e-5, seed: int = 1, terms: np.ndarray | None = None) -> Machine:

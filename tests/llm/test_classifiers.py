@@ -51,3 +51,18 @@ def test_isotonic_and_kernel():
     f = quality.FourierFeatures(np.zeros(3), np.ones(3), n=20_000, width=1.5)
     a, b = np.array([[0.1, 0.2, 0.3]]), np.array([[0.4, -0.2, 0.0]])
     assert abs(float((f(a)[:, :-1] @ f(b)[:, :-1].T)[0, 0]) - np.exp(-((a - b) ** 2).sum() / (2 * 1.5**2))) < 0.03
+
+
+def test_terms_that_tell_only_in_pairs_are_chosen():
+    rng = random.Random(4)
+    rows, labels = [], []
+    for _ in range(1500):
+        insult, group = rng.random() < 0.5, rng.random() < 0.5
+        rows.append(np.array(sorted({rng.randint(100, 140) for _ in range(6)} | ({1} if insult else {3}) | ({2} if group else {4}))))
+        labels.append(float(insult == group))
+    y = np.array(labels)
+    machine = toxicity.fit(rows, y)
+    assert set(machine.terms) >= {1, 2, 3, 4}
+    own = [np.flatnonzero(np.isin(machine.terms, r)) for r in rows]
+    assert np.mean([(machine.logit(o) > 0) == t for o, t in zip(own, y, strict=True)]) > 0.95
+    assert not len(toxicity.choose_terms(rows, np.array([float(rng.random() < 0.5) for _ in rows])))
