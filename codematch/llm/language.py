@@ -6,11 +6,12 @@ address; and a prior of its host. The prior is hierarchical: counts of a host ar
 by those of its address suffix, and these by those of the corpus, all from grouped
 aggregation over every row.
 
-The trigram tables are learnt from at most SAMPLE texts, by the languages they declare.
+The trigram tables are learnt from all distinct texts, by the languages they declare.
 """
 
 from __future__ import annotations
 
+import ctypes
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -20,8 +21,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from codematch.functions.arrays import text_key
+from codematch.sources.io import discard, materialize
+
 GRAMS = 1 << 14
-SAMPLE = 8000
+#: Trigram counts travel in slices of so many.
+SLICE = 1024
 #: Rows that a parent's share counts for, in the prior of a host or suffix.
 STRENGTH = 20.0
 #: How likely a declared language or a country's suffix is the right one.
@@ -32,6 +37,8 @@ EFFECTIVE = 60.0
 LEAST = 0.5
 #: Broadcast the table of hosts only up to this many rows.
 BROADCAST_HOSTS = 200_000
+#: Broadcast the texts that have copies only up to this many.
+BROADCAST_COPIES = 200_000
 # Suffixes of countries with one main language.
 SUFFIXES = {"de": "de", "at": "de", "fr": "fr", "es": "es", "mx": "es", "ar": "es", "uk": "en", "us": "en", "au": "en", "ie": "en", "it": "it", "pt": "pt", "br": "pt", "nl": "nl", "pl": "pl"}
 _HIDDEN = re.compile(r"<(script|style)\b.*?</\1\s*>|<!--.*?-->", re.S | re.I)
@@ -42,6 +49,12 @@ _LUT[65:91] = np.arange(97, 123)
 _LUT[128:] = np.arange(128, 256)
 
 
+def give_back() -> None:
+    """Return a worker's unused memory to the system: idle workers stay alive."""
+    pa.default_memory_pool().release_unused()
+    getattr(ctypes.CDLL(None), "malloc_trim", lambda _: 0)(0)
+
+
 def visible_text(html: str | None) -> str:
     """Text of a page without scripts, styles, comments and tags."""
     return _TAG.sub(" ", _HIDDEN.sub(" ", html)) if html else ""
@@ -82,37 +95,66 @@ def normal_language(c: Column) -> Column:
     return F.when(out != "", out)
 
 
-def learn(texts: DataFrame, sample: int = SAMPLE, least_rows: int = 10) -> Profiles:
-    """Trigram tables from texts(text, declared): a hash sample of about half and at most `sample` rows' worth."""
-    known = texts.where("declared IS NOT NULL AND length(text) > 0")
-    n = known.count()
-    some = known.where(F.pmod(F.xxhash64(F.lit(3), "text"), F.lit(1_000_000)) < F.lit(min(1_000_000, int(1_000_000 * sample / 2 / max(n, 1)) if n > sample else 1_000_000))).select("declared", "text").limit(sample)
+def learn(texts: DataFrame, least_rows: int = 10) -> Profiles:
+    """Trigram tables from all rows of texts(text, declared); copies of a text in a language count once.
+
+    A language takes part if least_rows rows declare it (or a twentieth of all, if that is
+    less), at every size.
+    """
+    h1, h2 = text_key(F.col("text"))
+    known = texts.where("declared IS NOT NULL AND length(text) > 0").select("declared", "text", h1.alias("h1"), h2.alias("h2"))
+    copies = materialize(known.groupBy("declared", "h1", "h2").agg(F.count(F.lit(1)).alias("n")), "declared-texts")
+    rows = {r.declared: r.n for r in copies.groupBy("declared").agg(F.sum("n").alias("n")).collect()}
+    languages = sorted(x for x in rows if rows[x] >= min(least_rows, max(1, sum(rows.values()) // 20))) or ["und"]
+    more = copies.where("n > 1").select(F.col("declared").alias("d"), F.col("h1").alias("k1"), F.col("h2").alias("k2"), "n")
+    more = F.broadcast(more) if more.limit(BROADCAST_COPIES + 1).count() <= BROADCAST_COPIES else more
+    each = known.where(F.col("declared").isin(languages)).join(more, (F.col("declared") == F.col("d")) & (F.col("h1") == F.col("k1")) & (F.col("h2") == F.col("k2")), "left")
 
     def count(batches) -> Iterator[pa.RecordBatch]:
         total: dict[str, np.ndarray] = {}
-        rows: dict[str, int] = {}
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
                 part = batch.slice(at, 256)
-                for language, text in zip(part.column(0).to_pylist(), part.column(1).cast(pa.binary()).to_pylist(), strict=True):
-                    total[language] = total.get(language, 0) + np.bincount(gram_places(text), minlength=GRAMS)
-                    rows[language] = rows.get(language, 0) + 1
-        yield pa.RecordBatch.from_pydict({"language": pa.array(list(total), pa.string()), "n": pa.array([rows[x] for x in total], pa.int64()), "counts": pa.array([x.astype(np.int64).tobytes() for x in total.values()], pa.binary())})
-
-    found: dict[str, np.ndarray] = {}
-    rows: dict[str, int] = {}
-    for r in some.repartition(4).mapInArrow(count, "language string, n long, counts binary").collect():
-        found[r.language] = found.get(r.language, 0) + np.frombuffer(bytes(r.counts), np.int64)
-        rows[r.language] = rows.get(r.language, 0) + r.n
-    languages = sorted(x for x in found if rows[x] >= min(least_rows, max(1, n // 20))) or ["und"]
-    counts = np.array([found.get(x, np.zeros(GRAMS)) for x in languages], float) + 0.2
+                for language, text, n in zip(part.column(0).to_pylist(), part.column(1).cast(pa.binary()).to_pylist(), part.column(2).to_pylist(), strict=True):
+                    if language not in total:
+                        total[language] = np.zeros(GRAMS)
+                    places = gram_places(text)
+                    if len(places) < GRAMS // 8:
+                        np.add.at(total[language], places, 1 / n)
+                    else:
+                        total[language] += np.bincount(places, minlength=GRAMS) / n
+        give_back()
+        for language, counts in total.items():
+            yield _slices([(language, i, x) for i, x in enumerate(counts.reshape(-1, SLICE))])
+
+    def add(batches) -> Iterator[pa.RecordBatch]:
+        total: dict[tuple[str, int], np.ndarray] = {}
+        for batch in batches:
+            for language, i, counts in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                total[language, i] = total.get((language, i), 0) + np.frombuffer(counts)
+        yield _slices([(*k, x) for k, x in total.items()])
+
+    schema = "language string, slice int, counts binary"
+    parts = each.select("declared", "text", F.coalesce("n", F.lit(1)).alias("n")).mapInArrow(count, schema)
+    counts = np.zeros((len(languages), GRAMS))
+    place = {x: i for i, x in enumerate(languages)}
+    for r in parts.repartition(16, "language", "slice").mapInArrow(add, schema).collect():
+        counts[place[r.language], r.slice * SLICE : (r.slice + 1) * SLICE] += np.frombuffer(bytes(r.counts))
+    discard(copies)
+    counts = np.rint(counts) + 0.2  # copies add up to one but for rounding
     return Profiles(languages, np.ascontiguousarray(np.log(counts / counts.sum(1, keepdims=True)).T.astype(np.float32)))
 
 
+def _slices(rows: list[tuple[str, int, np.ndarray]]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_pydict({"language": pa.array([r[0] for r in rows], pa.string()), "slice": pa.array([r[1] for r in rows], pa.int32()), "counts": pa.array([r[2].astype(float).tobytes() for r in rows], pa.binary())})
+
+
 def text_evidence(profiles: Profiles, text: Column) -> Column:
     @F.arrow_udf("array<double>")
     def of(texts: pa.Array) -> pa.Array:
-        return pa.array([profiles.evidence(x) for at in range(0, len(texts), 256) for x in texts.slice(at, 256).cast(pa.binary()).to_pylist()], pa.list_(pa.float64()))
+        out = pa.array([profiles.evidence(x) for at in range(0, len(texts), 256) for x in texts.slice(at, 256).cast(pa.binary()).to_pylist()], pa.list_(pa.float64()))
+        give_back()
+        return out
 
     return of(text)
 
@@ -175,7 +217,9 @@ def documents_and_pages(docs: DataFrame, pages: DataFrame) -> DataFrame:
 
     @F.arrow_udf("string")
     def shown(html: pa.Array) -> pa.Array:
-        return pa.array([visible_text(x) for x in html.to_pylist()], pa.string())
+        out = pa.concat_arrays([pa.array([visible_text(x) for x in html.slice(at, 256).to_pylist()], pa.string()) for at in range(0, len(html), 256)] or [pa.array([], pa.string())])
+        give_back()
+        return out
 
     tag = F.regexp_extract(F.coalesce("html", F.lit("")), r"(?i)<html[^>]*\slang\s*=\s*[\"']?([A-Za-z_-]+)", 1)
     address = F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:@]+)", 1))

@@ -80,3 +80,15 @@ def test_documents_are_encoded_whole(spark):
     assert spans[0][0] == 0 and spans[-1][1] == len(text) and all(s < e for s, e in spans)
     public = pytest.importorskip("public_tokenizers")
     assert token_counts.PATTERN == public.PATTERN
+
+
+def test_languages_and_profiles_come_from_all_rows(spark):
+    many = spark.range(16_000).select(F.concat(F.lit("the cat and the dog "), F.col("id")).alias("text"), F.lit("en").alias("declared"))
+    few = spark.range(24).select(F.concat(F.lit("ja taas kissa oli "), F.col("id")).alias("text"), F.lit("fi").alias("declared"))
+    assert language.learn(many.unionAll(few)).languages == ["en", "fi"]
+    copies = spark.range(3000).select(F.lit("zzz qqq xxx").alias("text"), F.lit("fi").alias("declared"))
+    once, often = (language.learn(few.unionAll(c)) for c in (copies.limit(1), copies))
+    assert once.languages == often.languages and np.array_equal(once.table, often.table)
+    texts = [r.text for r in few.unionAll(copies.limit(1)).collect()]
+    want = sum(np.bincount(language.gram_places(t.encode()), minlength=language.GRAMS) for t in texts) + 0.2
+    assert np.allclose(once.table[:, 0], np.log(want / want.sum()), atol=1e-5)
