@@ -65,7 +65,9 @@ def kmeans_clusters(df: DataFrame, K: int, seed: int = 1, kind: str = "kmeans")
 
 
 def random_rank(queries: DataFrame, items: DataFrame, R: int, seed: int = 0) -> DataFrame:
-    """(qid, id, score, rnk): rows in the order of a hash, the floor of every ranking."""
-    q = F.broadcast(queries.select(F.col("id").alias("qid")).limit(MOST_QUERIES))
-    scored = q.crossJoin(items.select("id")).where("qid <> id").withColumn("score", F.conv(F.substring(F.md5(F.concat_ws(":", F.lit(seed), "qid", "id")), 1, 8), 16, 10).cast("double"))
+    """(qid, id, score, rnk): rows in the order of a hash, the floor of every ranking. An error beyond a bounded query set, as with knn."""
+    q = queries.select(F.col("id").alias("qid"))
+    if q.limit(MOST_QUERIES + 1).count() > MOST_QUERIES:
+        raise ValueError(f"more than {MOST_QUERIES} queries: search in several sets")
+    scored = F.broadcast(q).crossJoin(items.select("id")).where("qid <> id").withColumn("score", F.conv(F.substring(F.md5(F.concat_ws(":", F.lit(seed), "qid", "id")), 1, 8), 16, 10).cast("double"))
     return top(scored, R, rising=True)

@@ -1,7 +1,8 @@
 """Hash functions that are compared with: random projections, rotated PCA signs, sequential projections, spectral functions, PCA signs.
 
-Learners get covariances of all rows, or at most TRAIN rows by hash where they iterate over
-points. Each returns (d, bits, bits_of) for binary.encode.
+Means, covariances, ranges and the sums of each iteration come from all rows; only the
+sequential learner, which compares pairs of points, has at most TRAIN rows by hash for these
+pairs. Each returns (d, bits, bits_of) for binary.encode.
 """
 
 from __future__ import annotations
@@ -9,11 +10,12 @@ from __future__ import annotations
 import hashlib
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from codematch.operators import prep
-from codematch.operators.encode import usable
+from codematch.operators.encode import matrix, usable
 
 TRAIN = 20_000
 
@@ -48,18 +50,40 @@ def pca_signs(df: DataFrame, bits: int, rotate: bool = True):
     return len(mean), bits, lambda x: (x - mean) @ axes > 0 if rotate else (x - mean)[:, :bits] > 0
 
 
-def itq(df: DataFrame, bits: int, iters: int = 50, seed: int = 0):
-    """Signs of PCA dimensions after the rotation that brings points closest to the corners they fall to."""
+def _summed(df: DataFrame, d: int, of, shape: tuple[int, int]) -> np.ndarray:
+    """The sum over all rows of of(matrix), an array of this shape: partial sums of tasks are added in their order."""
+
+    def run(batches):
+        total = np.zeros(shape)
+        for batch in batches:
+            for at in range(0, batch.num_rows, 4096):
+                total += of(matrix(batch.slice(at, 4096), 1, d))
+        yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], names=["sum"])
+
+    parts = usable(df).mapInArrow(run, "sum binary").withColumn("p", F.spark_partition_id()).orderBy("p").collect()
+    return sum((np.frombuffer(bytes(r["sum"])).reshape(shape) for r in parts), np.zeros(shape))
+
+
+def itq(df: DataFrame, bits: int, iters: int = 50, seed: int = 0, tolerance: float = 1e-4):
+    """Signs of PCA dimensions after the rotation that brings points closest to the corners they fall to.
+
+    A pass over all rows for each iteration; it ends early when the rotation hardly moves.
+    """
     _, mean, cov = prep.covariance(df)
     axes = prep.eigen(cov)[1][:, :bits]
-    v = (training_matrix(df) - mean) @ axes
-    r, _ = np.linalg.qr(np.random.default_rng(seed).normal(size=(bits, bits)))
+    r, _ = np.linalg.qr(np.random.default_rng(seed).normal(size=(axes.shape[1],) * 2))
+
+    def toward(x, w, axes=axes, mean=mean):
+        v = (x - mean) @ axes
+        return v.T @ np.where(v @ w >= 0, 1.0, -1.0)
+
     for _ in range(iters):
-        b = np.where(v @ r >= 0, 1.0, -1.0)
-        u, _, wt = np.linalg.svd(v.T @ b)
-        r = u @ wt
+        u, _, wt = np.linalg.svd(_summed(df, len(mean), lambda x, w=r: toward(x, w), r.shape))
+        before, r = r, u @ wt
+        if np.abs(r - before).max() < tolerance:
+            break
     w = axes @ r
-    return len(mean), bits, lambda x: (x - mean) @ w >= 0
+    return len(mean), w.shape[1], lambda x: (x - mean) @ w >= 0
 
 
 def sequential(df: DataFrame, bits: int, margin: float = 0.15, eta: float = 0.5, seed: int = 0, pairs: int = 2000):
@@ -69,14 +93,12 @@ def sequential(df: DataFrame, bits: int, margin: float = 0.15, eta: float = 0.5,
     apart on one side should not; their scatter is added to the covariance of what the chosen
     directions left.
     """
-    x = training_matrix(df)
-    mean = x.mean(0)
-    x = x - mean
-    rest, rng, out = x.copy(), np.random.default_rng(seed), []
-    adjust = np.zeros((x.shape[1],) * 2)
+    _, mean, cov = prep.covariance(df)
+    x = training_matrix(df) - mean
+    rng, out = np.random.default_rng(seed), []
+    adjust, left_over = np.zeros_like(cov), np.eye(len(mean))
     for _ in range(bits):
-        cov = rest.T @ rest / len(rest)
-        w = prep.eigen(cov + eta * adjust)[1][:, 0]
+        w = prep.eigen(left_over.T @ cov @ left_over + eta * adjust)[1][:, 0]
         out.append(w)
         p = x @ w
         near = np.quantile(np.abs(p), margin)
@@ -90,7 +112,7 @@ def sequential(df: DataFrame, bits: int, margin: float = 0.15, eta: float = 0.5,
                 d = x[rng.choice(side, pairs)] - x[rng.choice(side, pairs)]
                 far = np.argsort(-(d * d).sum(1))[: pairs // 2]
                 adjust += d[far].T @ d[far] / pairs
-        rest = rest - np.outer(rest @ w, w)
+        left_over = left_over - np.outer(left_over @ w, w)
     w = np.array(out).T
     return x.shape[1], bits, lambda y: (y - mean) @ w >= 0
 
@@ -99,8 +121,23 @@ def spectral(df: DataFrame, bits: int):
     """Signs of the smoothest sinusoids along PCA dimensions, by the range of each."""
     _, mean, cov = prep.covariance(df)
     axes = prep.eigen(cov)[1][:, : min(bits, len(mean))]
-    v = (training_matrix(df) - mean) @ axes
-    lo, span = v.min(0), np.maximum(v.max(0) - v.min(0), 1e-9)
-    modes = sorted((((j / span[a]) ** 2, a, j) for a in range(v.shape[1]) for j in range(1, bits + 1)))[:bits]
+    lo, hi = _ranges(df, mean, axes)
+    span = np.maximum(hi - lo, 1e-9)
+    modes = sorted((((j / span[a]) ** 2, a, j) for a in range(len(span)) for j in range(1, bits + 1)))[:bits]
     axis, freq = np.array([a for _, a, _ in modes]), np.array([j for _, _, j in modes])
     return len(mean), bits, lambda x: np.cos(((x - mean) @ axes - lo)[:, axis] / span[axis] * np.pi * freq) > 0
+
+
+def _ranges(df: DataFrame, mean: np.ndarray, axes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Least and largest value of all rows along each axis."""
+
+    def run(batches):
+        lo, hi = np.full(axes.shape[1], np.inf), np.full(axes.shape[1], -np.inf)
+        for batch in batches:
+            for at in range(0, batch.num_rows, 4096):
+                v = (matrix(batch.slice(at, 4096), 1, len(mean)) - mean) @ axes
+                lo, hi = np.minimum(lo, v.min(0)), np.maximum(hi, v.max(0))
+        yield pa.RecordBatch.from_arrays([pa.array([lo.tobytes()], pa.binary()), pa.array([hi.tobytes()], pa.binary())], names=["lo", "hi"])
+
+    parts = usable(df).mapInArrow(run, "lo binary, hi binary").collect()
+    return np.min([np.frombuffer(bytes(r.lo)) for r in parts], 0), np.max([np.frombuffer(bytes(r.hi)) for r in parts], 0)

@@ -39,12 +39,13 @@ def vectors_missing(df: DataFrame) -> DataFrame:
 
 def encode(df: DataFrame, model: CodeModel) -> DataFrame:
     """(id, c1, c2, fine); c2 is null with a single coarse space."""
-    raw = len(model.mean) if model.mean is not None else model.pca.shape[0] if model.pca is not None else model.d
+    sent = df.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
+        model = sent.value
         for batch in batches:
             if batch.num_rows:
-                c, f = model.encode(matrix(batch, 1, raw))
+                c, f = model.encode(matrix(batch, 1, model.raw))
                 second = pa.array(c[:, 1].astype(np.int32)) if model.halves == 2 else pa.nulls(len(c), pa.int32())
                 yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(c[:, 0].astype(np.int32)), second, fine_column(f)], names=["id", "c1", "c2", "fine"])
 
@@ -53,13 +54,11 @@ def encode(df: DataFrame, model: CodeModel) -> DataFrame:
 
 def encode_probes(df: DataFrame, model: CodeModel, probes: int) -> DataFrame:
     """(id, half, rnk, c, d, fine): the nearest clusters of each half, with the fine codes relative to each."""
-    raw = len(model.mean) if model.mean is not None else model.pca.shape[0] if model.pca is not None else model.d
-
     def run(batches):
         for batch in batches:
             if not batch.num_rows:
                 continue
-            x = model.prepare(matrix(batch, 1, raw))
+            x = model.prepare(matrix(batch, 1, model.raw))
             for h, dist in enumerate(model.half_distances(x)):
                 order = np.argsort(dist, axis=1, kind="stable")[:, :probes]
                 for r in range(order.shape[1]):
@@ -77,7 +76,7 @@ def coarse_codes(df: DataFrame, model: CodeModel) -> DataFrame:
         for batch in batches:
             if not batch.num_rows:
                 continue
-            x = model.prepare(matrix(batch, 1, model.d))
+            x = model.prepare(matrix(batch, 1, model.raw))
             for h, dist in enumerate(model.half_distances(x)):
                 c = dist.argmin(1)
                 n = len(c)

@@ -175,24 +175,37 @@ def dedup_results(results: DataFrame, codes: DataFrame, m: int, t: int, strict:
     """(qid, id, rnk, component, kept, dup_of) for result lists (qid, id, rnk).
 
     Within each list, items with more than t equal tokens are linked; a component is named by
-    its member that stays: the best ranked, or with keep="smallest_id" the smallest. A list
-    is bounded by its depth, so each is one group; lists are dealt by query.
+    its member that stays: the best ranked, with keep="smallest_id" the smallest, with
+    keep="longest" the one with the largest results.length. A list is bounded by its depth, so
+    each is one group; lists are dealt by query.
     """
-    rows = results.join(codes.select("id", "c1", "c2", "fine"), "id").select("qid", "id", "rnk", "c1", "c2", "fine")
+    length = F.col("length") if keep == "longest" else F.lit(0)
+    rows = results.withColumn("length", length.cast("long")).join(codes.select("id", "c1", "c2", "fine"), "id").select("qid", "id", "rnk", "length", "c1", "c2", "fine")
 
     def run(table: pa.Table) -> pa.Table:
-        rows = sorted(table.to_pylist(), key=lambda r: (r["rnk"], r["id"]) if keep == "best_rank" else (r["id"],))
-        posting: dict = {}
-        for i, r in enumerate(rows):
-            for p, f in enumerate(r["fine"]):
-                posting.setdefault((r["c1"] if p < m // 2 else r["c2"], p, f), []).append(i)
-        n: dict = {}
-        for own in posting.values():
-            for x, i in enumerate(own):
-                for j in own[x + 1 :]:
-                    n[i, j] = n.get((i, j), 0) + 1
-        found = union_find([p for p, k in n.items() if k > t or (not strict and k == t)])
-        name = [found.get(i, i) for i in range(len(rows))]
+        rows, name = dedup_list(table.to_pylist(), m, t, strict, keep)
         return pa.table({"qid": pa.array([r["qid"] for r in rows], pa.int64()), "id": pa.array([r["id"] for r in rows], pa.int64()), "rnk": pa.array([r["rnk"] for r in rows], pa.int32()), "component": pa.array([rows[c]["id"] for c in name], pa.int64()), "kept": pa.array([c == i for i, c in enumerate(name)]), "dup_of": pa.array([None if c == i else rows[c]["id"] for i, c in enumerate(name)], pa.int64())})
 
     return rows.groupBy("qid").applyInArrow(lambda t: run(t), "qid long, id long, rnk int, component long, kept boolean, dup_of long")
+
+
+ORDERS = {"best_rank": lambda r: (r["rnk"], r["id"]), "smallest_id": lambda r: (r["id"],), "longest": lambda r: (-(r["length"] or 0), r["id"])}
+
+
+def dedup_list(rows: list[dict], m: int, t: int, strict: bool = True, keep: str = "best_rank") -> tuple[list[dict], list[int]]:
+    """The items of one result list (id, rnk, c1, c2, fine), in the order of the policy, and for each the place of the one that stays for it.
+
+    Plain code for a list that a service holds in memory: no Spark job.
+    """
+    rows = sorted(rows, key=ORDERS[keep])
+    posting: dict = {}
+    for i, r in enumerate(rows):
+        for p, f in enumerate(r["fine"]):
+            posting.setdefault((r["c1"] if p < m // 2 or r["c2"] is None else r["c2"], p, f), []).append(i)
+    n: dict = {}
+    for own in posting.values():
+        for x, i in enumerate(own):
+            for j in own[x + 1 :]:
+                n[i, j] = n.get((i, j), 0) + 1
+    found = union_find([p for p, k in n.items() if k > t or (not strict and k == t)])
+    return rows, [found.get(i, i) for i in range(len(rows))]

@@ -14,18 +14,32 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
+#: Distances computed at once: an Arrow batch against many centroids goes in slices of rows.
+CELLS = 1 << 21
+
+
+def slices(n: int, k: int) -> range:
+    """Starts of slices of n rows that have CELLS distances to k centroids or less (one row at least)."""
+    return range(0, n, max(1, CELLS // max(k, 1)))
+
+
 def squared(x: np.ndarray, c: np.ndarray) -> np.ndarray:
     """Squared distances of the rows of x and c, summed in the order of dimensions."""
     out = np.zeros((len(x), len(c)))
-    for i in range(x.shape[1]):
-        diff = x[:, i, None] - c[:, i]
-        out += diff * diff
+    step = slices(len(x), len(c)).step
+    for at in slices(len(x), len(c)):
+        part = out[at : at + step]
+        for i in range(x.shape[1]):
+            diff = x[at : at + step, i, None] - c[:, i]
+            diff *= diff
+            part += diff
     return out
 
 
 def nearest(x: np.ndarray, c: np.ndarray) -> np.ndarray:
     """Index of the nearest row of c, the smallest on ties."""
-    return squared(x, c).argmin(1)
+    step = slices(len(x), len(c)).step
+    return np.concatenate([squared(x[at : at + step], c).argmin(1) for at in slices(len(x), len(c))] or [np.empty(0, np.int64)])
 
 
 @dataclass
@@ -50,6 +64,8 @@ class CodeModel:
         self.d = self.halves * self.dh
         if self.m % self.halves or self.d % self.m:
             raise ValueError("each half needs m / halves blocks of d / m dimensions")
+        #: Dimensions of vectors before preparation.
+        self.raw = len(self.mean) if self.mean is not None else self.pca.shape[0] if self.pca is not None else self.d
         self.local = self.sub.ndim == 5
         self.k = self.sub.shape[-2]
         if self.sub.shape[-1] != self.d // self.m:
@@ -70,6 +86,10 @@ class CodeModel:
             x = x @ self.pca
         return x[:, self.perm] if self.perm is not None else x
 
+    def nearest_clusters(self, x: np.ndarray) -> np.ndarray:
+        """(n, halves): the nearest cluster of each half, of prepared vectors."""
+        return np.stack([nearest(x[:, h * self.dh : (h + 1) * self.dh], self.coarse[h]) for h in range(self.halves)], 1)
+
     def half_distances(self, x: np.ndarray) -> list[np.ndarray]:
         """Squared distances to the centroids of each half, of prepared vectors."""
         return [squared(x[:, h * self.dh : (h + 1) * self.dh], self.coarse[h]) for h in range(self.halves)]
@@ -101,7 +121,7 @@ class CodeModel:
     def encode(self, raw: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(coarse codes (n, halves), fine codes (n, m)) of raw vectors."""
         x = self.prepare(raw)
-        c = np.stack([d.argmin(1) for d in self.half_distances(x)], 1)
+        c = self.nearest_clusters(x)
         return c, np.concatenate([self.fine(x, h, c[:, h]) for h in range(self.halves)], 1)
 
     def decode(self, c: np.ndarray, f: np.ndarray) -> np.ndarray:

@@ -36,9 +36,8 @@ def cluster_covariances(df: DataFrame, model: CodeModel) -> tuple[np.ndarray, np
         for batch in batches:
             if not batch.num_rows:
                 continue
-            x = model.prepare(matrix(batch, 1, len(model.mean) if model.mean is not None else model.d))
-            for h, dist in enumerate(model.half_distances(x)):
-                c = dist.argmin(1)
+            x = model.prepare(matrix(batch, 1, model.raw))
+            for h, c in enumerate(model.nearest_clusters(x).T):
                 r = x[:, h * dh : (h + 1) * dh] - model.coarse[h][c]
                 for i in np.unique(c):
                     own = r[c == i]

@@ -15,8 +15,8 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from codematch.operators import score
-from codematch.operators.encode import encode_probes, matrix, usable
-from codematch.operators.model import CodeModel
+from codematch.operators.encode import encode_probes, fine_column, matrix, usable
+from codematch.operators.model import CodeModel, slices
 
 BROADCAST_ROWS = 500_000
 
@@ -36,9 +36,30 @@ def store_cells(codes: DataFrame, path: str, partitions: int | None = None) -> N
     codes.repartitionByRange(n, "c1", "c2").sortWithinPartitions("c1", "c2", "id").write.mode("overwrite").parquet(path)
 
 
-def visit(half_distances: list[np.ndarray], sizes: dict[tuple[int, int], int], quota: int) -> list[tuple[int, int, float, int]]:
-    """Non-empty cells by rising d1 + d2, ties by (c1, c2), until `quota` vectors are seen: (c1, c2, d, n)."""
-    one, two = half_distances
+class CellSizes:
+    """Numbers of vectors of non-empty cells as two sorted arrays: 12 bytes a cell, K * K cells at most."""
+
+    def __init__(self, cells: np.ndarray, n: np.ndarray, K: int):
+        order = np.argsort(cells)
+        self.cells, self.n, self.K = cells[order], n[order].astype(np.int32 if not len(n) or n.max() < 1 << 31 else np.int64), K
+
+    @classmethod
+    def of(cls, sizes: DataFrame, K: int) -> CellSizes:
+        rows = sizes.select((F.coalesce("c1", F.lit(0)).cast("long") * K + F.coalesce("c2", F.lit(0))).alias("cell"), "n").toArrow()
+        return cls(rows.column("cell").to_numpy(), rows.column("n").to_numpy(), K)
+
+    def get(self, cell: tuple[int, int], default: int = 0) -> int:
+        key = cell[0] * self.K + cell[1]
+        at = int(np.searchsorted(self.cells, key))
+        return int(self.n[at]) if at < len(self.cells) and self.cells[at] == key else default
+
+
+def visit(half_distances: list[np.ndarray], sizes: CellSizes, quota: int) -> list[tuple[int, int, float, int]]:
+    """Non-empty cells by rising d1 + d2, ties by (c1, c2), until `quota` vectors are seen: (c1, c2, d, n).
+
+    With a single coarse space cells are its clusters, by distance; c2 is 0 then.
+    """
+    one, two = half_distances if len(half_distances) == 2 else (half_distances[0], np.zeros(1))
     o1, o2 = np.lexsort((np.arange(len(one)), one)), np.lexsort((np.arange(len(two)), two))
     heap, pushed, out, seen = [(one[o1[0]] + two[o2[0]], int(o1[0]), int(o2[0]), 0, 0)], {(0, 0)}, [], 0
     while heap and seen < quota:
@@ -55,31 +76,61 @@ def visit(half_distances: list[np.ndarray], sizes: dict[tuple[int, int], int], q
 
 
 VISITED = "qid long, ord int, c1 int, c2 int, d double, n long, seen long"
+_CELL = (pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.float64(), pa.int64(), pa.int64())
+#: Queries whose distances to all clusters are held at once.
+QUERIES = 256
 
 
-def visited_cells(queries: DataFrame, model: CodeModel, sizes: DataFrame, quota: int) -> DataFrame:
+def visited_cells(queries: DataFrame, model: CodeModel, sizes: DataFrame, quota: int, codes: bool = False) -> DataFrame:
     """(qid, ord, c1, c2, d, n, seen) for each query; the list that brings the count to the quota is the last, and counts whole.
 
-    The sizes of the non-empty cells are sent to the tasks: K * K numbers at most, not more with more data.
+    codes adds qfine, the query's fine codes relative to each cell's clusters: only clusters
+    that it visits are encoded, in this same pass. c2 is null with a single coarse space. The
+    sizes of the non-empty cells are broadcast: K * K numbers at most, not more with more data.
     """
-    table = queries.sparkSession.sparkContext.broadcast({(r.c1, r.c2): r.n for r in sizes.select("c1", "c2", "n").collect()})
+    spark = queries.sparkSession
+    table, sent = spark.sparkContext.broadcast(CellSizes.of(sizes, model.K)), spark.sparkContext.broadcast(model)
+
+    def own_codes(model: CodeModel, x: np.ndarray, rows: list[tuple], at: list[int]) -> np.ndarray:
+        """(cells, m): codes of the query of each cell, each (query, cluster) pair encoded once."""
+        out = []
+        for h in range(model.halves):
+            pairs, back = np.unique(np.array([(i, r[2 + h]) for i, r in zip(at, rows, strict=True)]), axis=0, return_inverse=True)
+            step = slices(len(pairs), model.dh * model.dh).step
+            fine = [model.fine(x[pairs[j : j + step, 0]], h, pairs[j : j + step, 1]) for j in range(0, len(pairs), step)]
+            out.append(np.concatenate(fine)[back.ravel()])
+        return np.concatenate(out, 1)
 
     def run(batches):
+        model = sent.value
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            x = model.prepare(matrix(batch, 1, model.d))
-            halves = model.half_distances(x)
-            rows = []
-            for q, *dist in zip(batch.column(0).to_pylist(), *halves, strict=True):
-                seen = 0
-                for i, (c1, c2, d, n) in enumerate(visit(dist, table.value, quota), 1):
-                    seen += n
-                    rows.append((q, i, c1, c2, d, n, seen))
-            if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.float64(), pa.int64(), pa.int64()), strict=True)], names=["qid", "ord", "c1", "c2", "d", "n", "seen"])
-
-    return usable(queries).mapInArrow(run, VISITED)
+            for lo in range(0, batch.num_rows, QUERIES):
+                part = batch.slice(lo, QUERIES)
+                x = model.prepare(matrix(part, 1, model.raw))
+                rows, at = [], []
+                for i, (q, *dist) in enumerate(zip(part.column(0).to_pylist(), *model.half_distances(x), strict=True)):
+                    seen = 0
+                    for k, (c1, c2, d, n) in enumerate(visit(dist, table.value, quota), 1):
+                        seen += n
+                        rows.append((q, k, c1, c2, d, n, seen))
+                        at.append(i)
+                if rows:
+                    cols = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), _CELL, strict=True)]
+                    if model.halves == 1:
+                        cols[3] = pa.nulls(len(rows), pa.int32())
+                    names = ["qid", "ord", "c1", "c2", "d", "n", "seen"]
+                    if codes:
+                        cols, names = [*cols, fine_column(own_codes(model, x, rows, at))], [*names, "qfine"]
+                    yield pa.RecordBatch.from_arrays(cols, names=names)
+
+    return usable(queries).mapInArrow(run, VISITED + (", qfine array<smallint>" if codes else ""))
+
+
+def same_cell(cells: DataFrame, codes: DataFrame, model: CodeModel) -> DataFrame:
+    """Equi-join by cell; by cluster with a single coarse space."""
+    if model.halves == 2:
+        return cells.join(codes, ["c1", "c2"])
+    return cells.drop("c2").join(codes, "c1")
 
 
 def visited_cells_relational(queries: DataFrame, model: CodeModel, sizes: DataFrame, quota: int, max_cells: int = 64) -> DataFrame:
@@ -111,14 +162,10 @@ def candidates(visited: DataFrame, codes: DataFrame, exclude_self: bool = True)
 def knn(queries: DataFrame, model: CodeModel, codes: DataFrame, R: int, T: int, weight: str = "exp", scale: float = 1.0, exclude_self: bool = True, sizes: DataFrame | None = None) -> DataFrame:
     """(qid, id, score, rnk): the R best of the T nearest candidates by cell weight plus hits; ties by id.
 
-    A query's fine codes are taken relative to each visited cluster of each half.
+    A query's fine codes are taken relative to each cell's clusters.
     """
-    cells = visited_cells(queries, model, sizes if sizes is not None else cell_sizes(codes), T)
-    q = encode_probes(queries, model, model.K)
-    half = lambda h, c: q.where(f"half = {h}").select(F.col("id").alias("qid"), F.col("c").alias(c), F.col("fine").alias(f"f{h}"))
-    cells = cells.join(half(0, "c1"), ["qid", "c1"]).join(half(1, "c2"), ["qid", "c2"])
-    cells = cells.select("qid", "c1", "c2", "d", F.concat("f0", "f1").alias("qfine"))
-    met = small(cells).join(codes, ["c1", "c2"])
+    cells = visited_cells(queries, model, sizes if sizes is not None else cell_sizes(codes), T, codes=True)
+    met = same_cell(small(cells.select("qid", "c1", "c2", "d", "qfine")), codes, model)
     if exclude_self:
         met = met.where("qid <> id")
     s = score.weighted(F.col("d"), score.hits(F.col("qfine"), F.col("fine"), model.m), weight, scale)

@@ -60,7 +60,7 @@ def fit(df: DataFrame, K: int, m: int, k: int, halves: int = 2, rotation: str =
 
     def residuals(x: np.ndarray) -> np.ndarray:
         x = base.prepare(x)
-        return np.concatenate([base.residual(x, h, dist.argmin(1)) for h, dist in enumerate(base.half_distances(x))], 1)
+        return np.concatenate([base.residual(x, h, c) for h, c in enumerate(base.nearest_clusters(x).T)], 1)
 
     if codebooks == "global":
         sub, _ = kmeans.lloyd_rounds(df, kmeans.seeds(df, m, k, init, seed + 1, prepare=residuals), iters, prepare=lambda b: residuals(matrix(b, 1, raw)), stop=1e-4)
@@ -77,8 +77,7 @@ def _local_books(df: DataFrame, base: CodeModel, k: int, iters: int, raw: int) -
         for batch in batches:
             if batch.num_rows:
                 x = base.prepare(matrix(batch, 1, raw))
-                for h, dist in enumerate(base.half_distances(x)):
-                    c = dist.argmin(1)
+                for h, c in enumerate(base.nearest_clusters(x).T):
                     yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.full(len(c), h, np.int32)), pa.array(c.astype(np.int32)), pa.array(list(base.residual(x, h, c)), pa.list_(pa.float64()))], names=["id", "half", "c", "r"])
 
     def learn(table: pa.Table) -> pa.Table:

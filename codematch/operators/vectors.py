@@ -75,9 +75,13 @@ def pages(spark: SparkSession, sf: str) -> DataFrame:
     return text_vectors(p, F.col("page_id"), shown_text(F.col("html")), F.regexp_extract("html", PAGE_LANGUAGE, 1))
 
 
+#: Turns that a conversation can have; an id is conv_id * TURNS + turn.
+TURNS = 1 << 24
+
+
 def turns(spark: SparkSession, sf: str) -> DataFrame:
     c = read_table(spark, sf, "conversations")
-    return text_vectors(c, F.col("conv_id") * 1000 + F.col("turn"), F.col("text"), F.col("role"))
+    return text_vectors(c, F.col("conv_id") * TURNS + F.col("turn"), F.col("text"), F.col("role"))
 
 
 def benchmark(spark: SparkSession, sf: str) -> DataFrame:

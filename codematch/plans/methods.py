@@ -288,6 +288,13 @@ query("batch_search", _BATCH)(lambda spark, sf: querysets.batch_search(*set_toke
 query("batch_search_preagg", _BATCH)(lambda spark, sf: querysets.batch_search(*set_tokens(spark, sf)[:2]))
 
 
+@query("batch_search_weighted", f"WITH {_SETS}, wq AS (SELECT set_id, token, CAST(sum(1 + qid % 3) AS BIGINT) AS k FROM qt GROUP BY 1, 2) SELECT set_id, dt.id, CAST(sum(k) AS BIGINT) AS score FROM wq JOIN dt USING (token) GROUP BY 1, 2")
+def batch_search_weighted(spark, sf):
+    """Each query of a set counts by a weight of its own."""
+    q, db, _ = set_tokens(spark, sf)
+    return querysets.batch_search(q.select("set_id", "token", (1 + F.col("qid") % 3).alias("w")), db)
+
+
 @query("batch_search_top", f"WITH {_SETS} SELECT set_id, id, score, CAST(rnk AS INTEGER) AS rnk FROM (SELECT *, row_number() OVER (PARTITION BY set_id ORDER BY score DESC, id) AS rnk FROM (SELECT set_id, dt.id, count(*) AS score FROM qt JOIN dt USING (token) GROUP BY 1, 2)) WHERE rnk <= 25")
 def batch_search_top(spark, sf):
     return querysets.batch_search(*set_tokens(spark, sf)[:2], top=25)
@@ -311,7 +318,7 @@ def batch_search_probes(spark, sf):
 
 _D = sql.codes("documents", DK, DM, DKS)
 _DT = _D + ",\n" + sql.tokens(DM)
-_DS = _DT + ",\n" + sql.stoplist(2, 200) + ",\n" + sql.pairs("s_")
+_DS = _DT + ",\n" + sql.pairs()
 T_EDGE = 11
 
 
@@ -324,7 +331,7 @@ def doc_tokens(spark, sf):
 
 
 def doc_pairs(spark, sf, least):
-    """Over all tokens: the SQL's stoplist drops none at sf0.01, and pairs beyond."""
+    """Over all tokens, however frequent."""
     return graph.pair_hits_blocks(materialize(doc_codes(spark, sf), "codes"), DM, least)
 
 
@@ -333,6 +340,12 @@ def token_stoplist(spark, sf):
     return tk.stoplist(doc_tokens(spark, sf), 2, 200)
 
 
+@query("token_stoplist_quantiles", f"WITH {_DT}, n AS (SELECT token, count(DISTINCT id) AS n FROM tokens GROUP BY 1), r AS (SELECT n, row_number() OVER (ORDER BY n) AS place, count(*) OVER () AS c FROM n), q AS (SELECT min(n) FILTER (WHERE place >= 0.25 * c) AS lo, min(n) FILTER (WHERE place >= 0.95 * c) AS hi FROM r) SELECT t.id, t.token FROM tokens t JOIN n USING (token) CROSS JOIN q WHERE n.n BETWEEN lo AND hi")
+def token_stoplist_quantiles(spark, sf):
+    """Bounds that are quantiles of the tokens' frequencies."""
+    return tk.stoplist_quantiles(doc_tokens(spark, sf), 0.25, 0.95)
+
+
 @query("token_fanout", f"WITH {_DT}, n AS (SELECT token, count(DISTINCT id) AS n FROM tokens GROUP BY 1) SELECT count(*) AS tokens, CAST(sum(n) AS BIGINT) AS rows, CAST(sum(n * (n - 1) // 2) AS BIGINT) AS pairs, max(n) AS largest FROM n")
 def token_fanout(spark, sf):
     return tk.fanout(doc_tokens(spark, sf))
@@ -365,11 +378,9 @@ def clustered(spark, sf):
     return graph.cluster_all(doc_codes(spark, sf), DM, T_EDGE)
 
 
-query("components_nodes", f"{_NODES} SELECT id, component FROM comp")(clustered)
 query("cluster_documents", f"{_NODES} SELECT id, component FROM comp")(clustered)
 _BANDS = f"{_NODES}, z AS (SELECT component, count(*) AS n FROM comp GROUP BY 1) SELECT CAST(CASE WHEN n >= 10 THEN 10 WHEN n >= 5 THEN 5 WHEN n >= 2 THEN 2 ELSE 1 END AS INTEGER) AS band, count(*) AS components, CAST(sum(n) AS BIGINT) AS items FROM z GROUP BY 1"
-for _k in ("cluster_size_bands", "graph_stats"):
-    query(_k, _BANDS)(lambda spark, sf: metrics.graph_stats(clustered(spark, sf), (1, 2, 5, 10)))
+query("cluster_size_bands", _BANDS)(lambda spark, sf: metrics.graph_stats(clustered(spark, sf), (1, 2, 5, 10)))
 query("noisy_labels", f"{_NODES} SELECT id, component AS pseudo_label FROM comp WHERE component IN (SELECT component FROM comp GROUP BY 1 HAVING count(*) BETWEEN 3 AND 50)")(lambda spark, sf: graph.noisy_labels(clustered(spark, sf), 3, 50))
 
 # ---- preparation and cost measures

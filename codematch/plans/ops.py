@@ -71,18 +71,18 @@ def tokens_bucketed(s, d):
     return x.hint("merge").join(y, "token").where("a < b").groupBy("a", "b").agg(F.count(F.lit(1)).alias("hits")).where("hits >= 3")
 
 
-@query("sql_batch_search", f"WITH {_T} SELECT q.grp AS set_id, d.id, count(*) AS score FROM tokens q JOIN tokens d ON q.token = d.token AND q.id % 10 < 3 AND d.id % 10 >= 3 GROUP BY 1, 2 HAVING count(*) >= 40")
+@query("sql_batch_search", f"WITH {_T} SELECT q.grp AS set_id, d.id, count(*) AS score FROM tokens q JOIN tokens d ON q.token = d.token AND q.id % 10 < 3 AND d.id % 10 >= 3 GROUP BY 1, 2 HAVING count(*) >= 12")
 def sql_batch_search(s, d):
     """The batch search as SQL text with the registered functions."""
     df, model = anchor(s, d)
     sqlfn.register(s, model)
     codes = en.encode(df, model).join(df.select("id", "grp"), "id")
-    return s.sql("WITH k AS (SELECT id, grp, explode(ccm_tokens(c1, c2, fine)) AS token FROM {codes}) SELECT q.grp AS set_id, d.id, count(*) AS score FROM k q JOIN k d ON q.token = d.token WHERE q.id % 10 < 3 AND d.id % 10 >= 3 GROUP BY 1, 2 HAVING count(*) >= {least}", codes=codes, least=40)
+    return s.sql("WITH k AS (SELECT id, grp, explode(ccm_tokens(c1, c2, fine)) AS token FROM {codes}) SELECT q.grp AS set_id, d.id, count(*) AS score FROM k q JOIN k d ON q.token = d.token WHERE q.id % 10 < 3 AND d.id % 10 >= 3 GROUP BY 1, 2 HAVING count(*) >= {least}", codes=codes, least=12)
 
 
 # ---- projection, filter
 
-query("project_nested", "SELECT event_id, user_id AS who, CAST(json_extract(props, '$.k') AS BIGINT) AS k FROM events WHERE event_id < 500")(lambda s, d: t(s, d, "events").where("event_id < 500").select("event_id", F.struct(F.col("user_id").alias("who"), F.from_json("props", "k bigint").alias("p")).alias("n")).select("event_id", "n.who", "n.p.k"))
+query("project_nested", "SELECT event_id, user_id AS who, CAST(json_extract(props, '$.k') AS BIGINT) AS k FROM events")(lambda s, d: t(s, d, "events").select("event_id", F.struct(F.col("user_id").alias("who"), F.from_json("props", "k bigint").alias("p")).alias("n")).select("event_id", "n.who", "n.p.k"))
 query("filter_mix", "SELECT p_partkey FROM part WHERE p_size BETWEEN 5 AND 30 AND p_brand IN ('Brand#11', 'Brand#22', 'Brand#33', 'Brand#12', 'Brand#23') AND p_name LIKE '%a%' AND NOT regexp_matches(p_type, '^ECONOMY') AND p_retailprice IS NOT NULL")(
     lambda s, d: t(s, d, "part").where(F.col("p_size").between(5, 30) & F.col("p_brand").isin("Brand#11", "Brand#22", "Brand#33", "Brand#12", "Brand#23") & F.col("p_name").like("%a%") & ~F.col("p_type").rlike("^ECONOMY") & F.col("p_retailprice").isNotNull()).select("p_partkey")
 )
@@ -100,10 +100,10 @@ for _n, _h in (("join_broadcast", "broadcast"), ("join_sortmerge", "merge"), ("j
     query(_n, _OC)(join_hint(_h))
 
 
-@query("join_cross_bruteforce", f"SELECT a.id AS a, b.id AS b, round({sql.square('a.vec', 'b.vec', 64)}, 6) AS d FROM ({sql.vec('embeddings')}) a CROSS JOIN ({sql.vec('embeddings')}) b WHERE a.id < 5")
+@query("join_cross_bruteforce", f"SELECT a.id AS a, b.id AS b, round({sql.square('a.vec', 'b.vec', 64)}, 6) AS d FROM ({sql.vec('embeddings')}) a CROSS JOIN ({sql.vec('embeddings')}) b WHERE a.id % 100 = 0")
 def join_cross_bruteforce(s, d):
     df = emb(s, d)
-    q = df.where("id < 5").select(F.col("id").alias("a"), F.col("vec").alias("x"))
+    q = df.where("id % 100 = 0").select(F.col("id").alias("a"), F.col("vec").alias("x"))
     dist = F.aggregate(F.zip_with("x", "y", lambda p, q: (p - q) * (p - q)), F.lit(0.0), lambda a, x: a + x)
     return F.broadcast(q).crossJoin(df.select(F.col("id").alias("b"), F.col("vec").alias("y"))).select("a", "b", R6(dist).alias("d"))
 
@@ -142,7 +142,9 @@ def stoplist_semi(s, d):
     return x.join(x.groupBy("token").count().where("count BETWEEN 5 AND 40"), "token", "left_semi").select("id", "token")
 
 
-query("exclude_owned_anti", "SELECT c_custkey FROM customer ANTI JOIN orders ON o_custkey = c_custkey")(lambda s, d: t(s, d, "customer").join(t(s, d, "orders"), F.col("o_custkey") == F.col("c_custkey"), "left_anti").select("c_custkey"))
+query("exclude_owned_anti", "SELECT c_custkey FROM customer ANTI JOIN (SELECT * FROM orders WHERE o_totalprice > 300000) o ON o_custkey = c_custkey")(
+    lambda s, d: t(s, d, "customer").join(t(s, d, "orders").where("o_totalprice > 300000"), F.col("o_custkey") == F.col("c_custkey"), "left_anti").select("c_custkey")
+)
 query("join_outer_nodes", "SELECT c_custkey, count(o_orderkey) AS n FROM customer LEFT JOIN orders ON o_custkey = c_custkey GROUP BY 1")(lambda s, d: t(s, d, "customer").join(t(s, d, "orders"), F.col("o_custkey") == F.col("c_custkey"), "left").groupBy("c_custkey").agg(F.count("o_orderkey").alias("n")))
 query("join_full_diff", "SELECT coalesce(c_nationkey, s_nationkey) AS nation, cn, sn FROM (SELECT c_nationkey, count(*) AS cn FROM customer WHERE c_nationkey % 2 = 0 GROUP BY 1) FULL JOIN (SELECT s_nationkey, count(*) AS sn FROM supplier GROUP BY 1) ON c_nationkey = s_nationkey")(
     lambda s, d: t(s, d, "customer").where("c_nationkey % 2 = 0").groupBy("c_nationkey").agg(F.count(F.lit(1)).alias("cn")).join(t(s, d, "supplier").groupBy("s_nationkey").agg(F.count(F.lit(1)).alias("sn")), F.col("c_nationkey") == F.col("s_nationkey"), "full").select(F.coalesce("c_nationkey", "s_nationkey").alias("nation"), "cn", "sn")
@@ -200,8 +202,8 @@ query("window_frames", "SELECT event_id, round(sum(value) OVER (PARTITION BY use
 )
 query("sort_topk", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 20 OFFSET 5")(lambda s, d: t(s, d, "orders").orderBy(F.desc("o_totalprice"), "o_orderkey").offset(5).limit(20).select("o_orderkey", "o_totalprice"))
 query("topk_per_group", "SELECT o_custkey, o_orderkey FROM (SELECT *, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS r FROM orders) WHERE r <= 2")(lambda s, d: t(s, d, "orders").withColumn("r", F.row_number().over(Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey"))).where("r <= 2").select("o_custkey", "o_orderkey"))
-_A, _B = "SELECT l_partkey AS k FROM lineitem WHERE l_quantity > 40", "SELECT l_partkey AS k FROM lineitem WHERE l_discount > 0.05"
-_set = lambda s, d: (t(s, d, "lineitem").where("l_quantity > 40").select(F.col("l_partkey").alias("k")), t(s, d, "lineitem").where("l_discount > 0.05").select(F.col("l_partkey").alias("k")))
+_A, _B = "SELECT l_partkey AS k FROM lineitem WHERE l_quantity > 40", "SELECT l_partkey AS k FROM lineitem WHERE l_discount > 0.09"
+_set = lambda s, d: (t(s, d, "lineitem").where("l_quantity > 40").select(F.col("l_partkey").alias("k")), t(s, d, "lineitem").where("l_discount > 0.09").select(F.col("l_partkey").alias("k")))
 query("setop_union", f"{_A} UNION {_B}")(lambda s, d: (lambda a, b: a.unionByName(b).distinct())(*_set(s, d)))
 query("setop_intersect", f"{_A} INTERSECT {_B}")(lambda s, d: (lambda a, b: a.intersect(b))(*_set(s, d)))
 query("setop_except", f"{_A} EXCEPT {_B}")(lambda s, d: (lambda a, b: a.subtract(b))(*_set(s, d)))
@@ -234,8 +236,8 @@ query("array_distance", f"SELECT a.id, round(list_sum([a.vec[i] * b.vec[i] for i
 query("array_hits", f"WITH {_C} SELECT a.id AS a, b.id AS b, len([i for i in range(1, {M + 1}) if a.fine[i] = b.fine[i]]) AS n FROM codes a JOIN codes b ON a.c1 = b.c1 AND a.c2 = b.c2 AND a.id < b.id")(
     lambda s, d: (lambda c: c.alias("x").join(c.alias("y"), ["c1", "c2"]).where("x.id < y.id").select(F.col("x.id").alias("a"), F.col("y.id").alias("b"), F.size(F.filter(F.zip_with("x.fine", "y.fine", lambda p, q: p == q), lambda e: e)).cast("long").alias("n")))(codes_of(s, d))
 )
-query("map_sparse", "SELECT doc_id, CAST(n AS BIGINT) AS n, word FROM (SELECT doc_id, w AS word, count(*) AS n FROM (SELECT doc_id, unnest(string_split(text, ' ')) AS w FROM documents WHERE doc_id < 50) GROUP BY 1, 2) WHERE n >= 3")(
-    lambda s, d: t(s, d, "documents").where("doc_id < 50").select("doc_id", F.explode(F.split("text", " ")).alias("w")).groupBy("doc_id", "w").agg(F.count(F.lit(1)).alias("n")).groupBy("doc_id").agg(F.map_from_entries(F.collect_list(F.struct("w", "n"))).alias("m")).select("doc_id", F.explode(F.map_filter("m", lambda k, v: v >= 3)).alias("word", "n"))
+query("map_sparse", "SELECT doc_id, CAST(n AS BIGINT) AS n, word FROM (SELECT doc_id, w AS word, count(*) AS n FROM (SELECT doc_id, unnest(string_split(text, ' ')) AS w FROM documents) GROUP BY 1, 2) WHERE n >= 3")(
+    lambda s, d: t(s, d, "documents").select("doc_id", F.explode(F.split("text", " ")).alias("w")).groupBy("doc_id", "w").agg(F.count(F.lit(1)).alias("n")).groupBy("doc_id").agg(F.map_from_entries(F.collect_list(F.struct("w", "n"))).alias("m")).select("doc_id", F.explode(F.map_filter("m", lambda k, v: v >= 3)).alias("word", "n"))
 )
 query("json_props", "SELECT event_id, CAST(json_extract(props, '$.k') AS BIGINT) AS a, CAST(json_extract(props, '$.k') AS BIGINT) * 2 AS b FROM events")(lambda s, d: t(s, d, "events").select("event_id", F.get_json_object("props", "$.k").cast("long").alias("a"), (F.variant_get(F.parse_json("props"), "$.k", "bigint") * 2).alias("b")))
 query("conditional", "SELECT c_custkey, CASE WHEN c_acctbal < 0 THEN 'owes' WHEN c_acctbal < 1000 THEN 'little' ELSE 'much' END AS k, round(1000 / nullif(c_nationkey, 0), 6) AS q FROM customer")(
@@ -245,7 +247,10 @@ query("subq_scalar", "SELECT o_orderkey FROM orders WHERE o_totalprice > (SELECT
 query("subq_exists", "SELECT c_custkey FROM customer c WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c.c_custkey AND o_totalprice > 300000) AND c_nationkey IN (SELECT n_nationkey FROM nation WHERE n_regionkey = 1)")(
     lambda s, d: s.sql("SELECT c_custkey FROM {c} c WHERE EXISTS (SELECT 1 FROM {o} o WHERE o.o_custkey = c.c_custkey AND o.o_totalprice > 300000) AND c.c_nationkey IN (SELECT n_nationkey FROM {n} WHERE n_regionkey = 1)", c=t(s, d, "customer"), o=t(s, d, "orders"), n=t(s, d, "nation"))
 )
-query("recursive_reach", "WITH RECURSIVE r(n, lvl) AS (SELECT 0, 0 UNION ALL SELECT (n * 3 + 1) % 50, lvl + 1 FROM r WHERE lvl < 12) SELECT CAST(n AS INTEGER) AS n, CAST(lvl AS INTEGER) AS lvl FROM r")(lambda s, d: s.sql("WITH RECURSIVE r(n, lvl) AS (SELECT 0, 0 UNION ALL SELECT (n * 3 + 1) % 50, lvl + 1 FROM r WHERE lvl < 12) SELECT n, lvl FROM r"))
+_REACH = """WITH RECURSIVE r(n, lvl) AS (SELECT DISTINCT l_suppkey, 0 FROM lineitem WHERE l_partkey = 1 UNION SELECT s.s_suppkey, r.lvl + 1 FROM r JOIN supplier s ON s.s_suppkey = r.n * 3 % 97 + 1 WHERE r.lvl < 6)"""
+query("recursive_reach", _REACH + " SELECT DISTINCT n, CAST(lvl AS INTEGER) AS lvl FROM r")(
+    lambda s, d: s.sql(_REACH.replace("UNION SELECT", "UNION ALL SELECT").replace("FROM lineitem", "FROM {l}").replace("JOIN supplier", "JOIN {s}") + " SELECT DISTINCT n, lvl FROM r", l=t(s, d, "lineitem"), s=t(s, d, "supplier"))
+)
 
 # ---- batch twins of the streaming windows
 

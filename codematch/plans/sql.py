@@ -2,12 +2,12 @@
 
 from __future__ import annotations
 
-from codematch.operators.vectors import DIMENSIONS, NUMERIC, PAGE_LANGUAGE, PAGE_PATTERNS, numeric_sql
+from codematch.operators.vectors import DIMENSIONS, NUMERIC, PAGE_LANGUAGE, PAGE_PATTERNS, TURNS, numeric_sql
 
 _TEXT = {
     "documents": ("documents", "doc_id", "text", "lang"),
     "benchmark": ("benchmark", "item_id", "text", "NULL"),
-    "turns": ("conversations", "conv_id * 1000 + turn", "text", "role"),
+    "turns": ("conversations", f"conv_id * {TURNS} + turn", "text", "role"),
 }
 
 

@@ -4,12 +4,12 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from codematch.operators import encode as en, graph, metrics, querysets, search, tokens as tk, train, vectors
+from codematch.operators import encode as en, graph, metrics, querysets, score, search, tokens as tk, train, vectors
 from codematch.operators.baselines import binary, brute, hashes, rawdist, tags
 from codematch.operators.model import anchor
 from codematch.plans import sql
 from codematch.plans.methods import _ALLP, _BRUTE, _D, _DB, _DS, _DT, _KNN_EXP, _QUERY, DEPTH, DEPTHS, DK, DKS, DM, K, KS, M, QUOTA, RECALL_SQL, Q as METHODS, SQL as METHOD_SQL, codes_of, doc_tokens, emb, split, truth
-from codematch.sources.io import read_table
+from codematch.sources.io import materialize, read_table
 
 Q: dict = {}
 SQL: dict[str, str] = {}
@@ -29,17 +29,32 @@ def query(name, text=None):
 # ---- nearest neighbours: codes against binary codes at the same number of bits
 
 RADII = [12, 16, 20, 24, 28]
-_LSH = f"""v AS ({sql.vec('embeddings')}),
-pl AS (SELECT b, i, CASE WHEN CAST('0x' || right(md5('0:' || b || ':' || i), 1) AS INTEGER) % 2 = 0 THEN 1.0 ELSE -1.0 END AS s FROM (SELECT unnest(range({BITS})) AS b) CROSS JOIN (SELECT unnest(range(64)) AS i)),
+RANKS = [1, 10, 50, 100]
+
+
+def lsh_sql(view: str, bits: int) -> str:
+    """CTE bt(id, b, bit): signs of projections on planes of +1 and -1."""
+    return f"""v AS ({sql.vec(view)}),
+pl AS (SELECT b, i, CASE WHEN CAST('0x' || right(md5('0:' || b || ':' || i), 1) AS INTEGER) % 2 = 0 THEN 1.0 ELSE -1.0 END AS s FROM (SELECT unnest(range({bits})) AS b) CROSS JOIN (SELECT unnest(range(64)) AS i)),
 pw AS (SELECT b, list(s ORDER BY i) AS w FROM pl GROUP BY b),
 bt AS (SELECT id, b, CAST(list_sum([vec[i] * w[i] for i in range(1, 65)]) >= 0 AS BIGINT) AS bit FROM v CROSS JOIN pw)"""
+
+
+def distance_sql(bits: int) -> str:
+    return " + ".join(f"bit_count(xor(a.words[{i}], b.words[{i}]))" for i in range(1, -(-bits // 32) + 1))
+
+
+_LSH = lsh_sql("embeddings", BITS)
 _MEAN = f"""v AS ({sql.vec('embeddings')}), mu AS (SELECT i, avg(vec[i]) AS mu FROM v CROSS JOIN (SELECT unnest(range(1, 65)) AS i) GROUP BY i),
 bt AS (SELECT id, i - 1 AS b, CAST(vec[i] > mu AS BIGINT) AS bit FROM v CROSS JOIN mu)"""
 _WORDS = ", ws AS (SELECT id, b // 32 AS w, CAST(sum(bit << (b % 32)) AS BIGINT) AS x FROM bt GROUP BY 1, 2), codes AS (SELECT id, list(x ORDER BY w) AS words FROM ws GROUP BY id)"
-_DIST = "bit_count(xor(a.words[1], b.words[1])) + bit_count(xor(a.words[2], b.words[2]))"
+_DIST = distance_sql(BITS)
 _RADIUS = f""", hd AS (SELECT a.id AS qid, b.id, {_DIST} AS d FROM codes a JOIN codes b ON a.id % 10 = 0 AND b.id % 10 <> 0), {_BRUTE}
 SELECT CAST(r AS INTEGER) AS radius, round(count(*) FILTER (WHERE d <= r) * 1.0 / count(DISTINCT hd.qid), 6) AS mean_found, round(count(*) FILTER (WHERE d <= r AND t.id IS NOT NULL) * 1.0 / count(DISTINCT hd.qid), 6) AS recall
 FROM hd LEFT JOIN (SELECT qid, id FROM near WHERE rnk = 1) t ON t.qid = hd.qid AND t.id = hd.id CROSS JOIN (SELECT unnest({RADII}) AS r) GROUP BY r"""
+_RANKED = f""", hd AS (SELECT a.id AS qid, b.id, {_DIST} AS d FROM codes a JOIN codes b ON a.id % 10 = 0 AND b.id % 10 <> 0),
+rk AS (SELECT qid, id, row_number() OVER (PARTITION BY qid ORDER BY d, id) AS rnk FROM hd), {_BRUTE}
+{RECALL_SQL.format('rk').replace('[1, 5, 10, 20]', str(RANKS))}"""
 
 
 def lsh_codes(spark, sf):
@@ -51,8 +66,20 @@ def coded(df, made):
     return binary.encode(df, d, bits_of)
 
 
+MAKERS = {
+    "lsh": lambda df: hashes.lsh(64, BITS),
+    "pcae": lambda df: hashes.pca_signs(df, BITS),
+    "itq": lambda df: hashes.itq(df, BITS),
+    "usplh": lambda df: hashes.sequential(df, BITS),
+    "spectral": lambda df: hashes.spectral(df, BITS),
+}
 query("lsh_codes", f"WITH {_LSH}{_WORDS} SELECT id, words FROM codes")(lsh_codes)
-query("pcae_codes", f"WITH {_MEAN}{_WORDS} SELECT id, words FROM codes")(lambda spark, sf: coded(emb(spark, sf), hashes.pca_signs(emb(spark, sf), BITS, rotate=False)))
+
+
+@query("centred_sign_codes", f"WITH {_MEAN}{_WORDS} SELECT id, words FROM codes")
+def centred_sign_codes(spark, sf):
+    """Signs of the centred dimensions as they are, without principal axes."""
+    return coded(emb(spark, sf), hashes.pca_signs(emb(spark, sf), BITS, rotate=False))
 
 
 @query("lsh_hamming_knn", f"WITH {_LSH}{_WORDS}, s AS (SELECT a.id AS qid, b.id, CAST({_DIST} AS DOUBLE) AS score FROM codes a JOIN codes b ON a.id % 10 = 0 AND b.id % 10 <> 0) SELECT qid, id, score, CAST(rnk AS INTEGER) AS rnk FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY score, id) AS rnk FROM s) WHERE rnk <= 10")
@@ -66,9 +93,20 @@ def lsh_banded(spark, sf):
     return binary.banded_pairs(lsh_codes(spark, sf), BITS, 4)
 
 
-@query("pcae_pairs", f"WITH {_MEAN}{_WORDS} SELECT a.id AS a, b.id AS b, CAST({_DIST} AS INTEGER) AS dist FROM codes a JOIN codes b ON a.id < b.id WHERE {_DIST} <= 14")
-def pcae_pairs(spark, sf):
-    return binary.hamming_pairs(Q["pcae_codes"](spark, sf), 14, BITS)
+@query("centred_sign_pairs", f"WITH {_MEAN}{_WORDS} SELECT a.id AS a, b.id AS b, CAST({_DIST} AS INTEGER) AS dist FROM codes a JOIN codes b ON a.id < b.id WHERE {_DIST} <= 18")
+def centred_sign_pairs(spark, sf):
+    return binary.hamming_pairs(centred_sign_codes(spark, sf), 18, BITS)
+
+
+def ranked_recall(made):
+    """Recall of a ranking by Hamming distance over all rows."""
+
+    def run(spark, sf):
+        df = emb(spark, sf)
+        c = materialize(coded(df, made(df)), "bits")
+        return metrics.recall_at(binary.hamming_knn(c.where(_QUERY), c.where(f"NOT ({_QUERY})"), max(RANKS), 2), truth(spark, sf), RANKS)
+
+    return run
 
 
 def radius_recall(made):
@@ -80,40 +118,56 @@ def radius_recall(made):
     return run
 
 
-query("ann_recall_lsh", f"WITH {_LSH}{_WORDS}{_RADIUS.replace(', ' + _BRUTE, ', ' + _BRUTE)}")(radius_recall(lambda df: hashes.lsh(64, BITS)))
-query("ann_recall_pcae", f"WITH {_MEAN}{_WORDS}{_RADIUS}")(radius_recall(lambda df: hashes.pca_signs(df, BITS, rotate=False)))
-query("ann_recall_itq")(radius_recall(lambda df: hashes.itq(df, BITS)))
-query("ann_recall_usplh")(radius_recall(lambda df: hashes.sequential(df, BITS)))
-query("ann_recall_spectral")(radius_recall(lambda df: hashes.spectral(df, BITS)))
-query("itq_codes")(lambda spark, sf: coded(emb(spark, sf), hashes.itq(emb(spark, sf), BITS)))
-query("seqproj_codes")(lambda spark, sf: coded(emb(spark, sf), hashes.sequential(emb(spark, sf), BITS)))
-query("spectral_codes")(lambda spark, sf: coded(emb(spark, sf), hashes.spectral(emb(spark, sf), BITS)))
+for _name, _made in MAKERS.items():
+    query(f"ann_recall_{_name}", f"WITH {_LSH}{_WORDS}{_RADIUS}" if _name == "lsh" else None)(radius_recall(_made))
+    query(f"ann_rank_{_name}", f"WITH {_LSH}{_WORDS}{_RANKED}" if _name == "lsh" else None)(ranked_recall(_made))
+query("ann_recall_centred_sign", f"WITH {_MEAN}{_WORDS}{_RADIUS}")(radius_recall(lambda df: hashes.pca_signs(df, BITS, rotate=False)))
+for _name, _key in (("pcae", "pcae_codes"), ("itq", "itq_codes"), ("usplh", "seqproj_codes"), ("spectral", "spectral_codes")):
+    query(_key)(lambda spark, sf, made=MAKERS[_name]: coded(emb(spark, sf), made(emb(spark, sf))))
 query("pca_rotation_encode")(lambda spark, sf: en.encode(emb(spark, sf), train.fit(emb(spark, sf), 4, M, KS, iters=4)))
+query("pca_reduced_encode")(lambda spark, sf: en.encode(emb(spark, sf), train.fit(emb(spark, sf), 4, M, KS, pca=32, iters=4)))
+
+#: Positions and values of trained codes with as many bits as the binary codes have, and clusters of each half.
+EVEN_M, EVEN_K, EVEN_COARSE = 16, 16, 4
+#: Quotas of candidates.
+QUOTAS = [25, 50, 100, 200, 300]
 
 
 def trained_split(spark, sf):
+    """A trained, variance-balanced model whose fine codes have BITS bits, queries, and the codes of the rest."""
     df = emb(spark, sf)
-    model = train.fit(df, 4, M, KS, iters=8)
-    return model, df.where(_QUERY), en.encode(df.where(f"NOT ({_QUERY})"), model)
+    model = train.fit(df, EVEN_COARSE, EVEN_M, EVEN_K, iters=8)
+    return model, df.where(_QUERY), materialize(en.encode(df.where(f"NOT ({_QUERY})"), model), "codes")
 
 
 @query("ann_recall_trained")
 def ann_recall_trained(spark, sf):
     """Ranking by hits with a trained model, all cells visited."""
     model, q, db = trained_split(spark, sf)
-    return metrics.recall_at(search.knn(q, model, db, 100, 10**9), truth(spark, sf), [1, 10, 50, 100])
+    return metrics.recall_at(search.knn(q, model, db, max(RANKS), 10**9), truth(spark, sf), RANKS)
 
 
 @query("ann_distance_trained")
 def ann_distance_trained(spark, sf):
     """The same ranked by quantized distance."""
     model, q, db = trained_split(spark, sf)
-    return metrics.recall_at(rawdist.knn(q, model, db, 100, 10**9), truth(spark, sf), [1, 10, 50, 100])
+    return metrics.recall_at(rawdist.knn(q, model, db, max(RANKS), 10**9), truth(spark, sf), RANKS)
+
+
+@query("ann_retrieval_trained")
+def ann_retrieval_trained(spark, sf):
+    """Unordered retrieval with the trained model: recall and candidates by quota, to hold against the binary codes' radii."""
+    model, q, db = trained_split(spark, sf)
+    sizes, real = search.cell_sizes(db), materialize(truth(spark, sf), "truth")
+    out = None
+    for quota in QUOTAS:
+        got = search.candidates(search.visited_cells(q, model, sizes, quota), db).select("qid", "id").join(real.withColumn("hit", F.lit(1)), ["qid", "id"], "left")
+        one = got.agg(F.countDistinct("qid").alias("q"), F.count(F.lit(1)).alias("n"), F.count("hit").alias("k"))
+        one = one.select(F.lit(quota).alias("quota"), F.round(F.col("n") / F.col("q"), 6).alias("mean_found"), F.round(F.col("k") / F.col("q"), 6).alias("recall"))
+        out = one if out is None else out.unionAll(one)
+    return out
 
 
-Q["ann_recall_retrieval"], SQL["ann_recall_retrieval"] = METHODS["recall_retrieval"], METHOD_SQL["recall_retrieval"]
-Q["ann_recall_ranking"] = METHODS["recall_ranking"]
-SQL["ann_recall_ranking"] = f"WITH {_KNN_EXP}, {_BRUTE} {RECALL_SQL.format('knn')}"
 _ADC = _ALLP + f""",
 bp AS (SELECT id, h, c, b, part FROM bk WHERE {_QUERY}),
 rawd AS (SELECT v.qid, db.id, sum({sql.square('@P@', 's.sp', 8)}) AS score FROM vis v JOIN db ON db.c1 = v.c1 AND db.c2 = v.c2 JOIN bp ON bp.id = v.qid AND bp.c = CASE WHEN bp.h = 0 THEN v.c1 ELSE v.c2 END JOIN sb s ON s.h = bp.h AND s.b = bp.b AND s.j = db.fine[bp.h * {M // 2} + bp.b + 1] @X@ GROUP BY 1, 2),
@@ -133,13 +187,34 @@ query("ann_adc", f"WITH {_ADC.replace('@P@', 'bp.part').replace('@X@', '')}")(_d
 query("ann_sdc", f"WITH {_ADC.replace('@P@', 'u.sp').replace('@X@', 'JOIN fc g ON g.id = bp.id AND g.h = bp.h AND g.c = bp.c AND g.b = bp.b JOIN sb u ON u.h = bp.h AND u.b = bp.b AND u.j = g.j')}")(_distance(True))
 
 
-@query("ivf_adc")
-def ivf_adc(spark, sf):
-    """One coarse space, no rotation, distances: recall at 1, 10, 50 and 100 of an exhaustive ranking."""
+def coarse_adc(halves):
+    """Coarse clusters and residual codes without rotation, ranked by distance: recall at 1, 10, 50 and 100 of all rows."""
+
+    def run(spark, sf):
+        df = emb(spark, sf)
+        model = train.fit(df, EVEN_COARSE, EVEN_M, EVEN_K, halves=halves, rotation="none", balanced=False, iters=6)
+        q, db = df.where(_QUERY), en.encode(df.where(f"NOT ({_QUERY})"), model)
+        return metrics.recall_at(rawdist.knn(q, model, db, max(RANKS), 10**9), truth(spark, sf), RANKS)
+
+    return run
+
+
+query("ivf_adc")(coarse_adc(1))
+query("multi_index_adc")(coarse_adc(2))
+_ONE_ADC = f"""{sql.codes("embeddings", K, M, KS, halves=1, probes=K)}, db AS (SELECT * FROM codes WHERE NOT ({_QUERY})),
+dq AS (SELECT bk.id AS qid, bk.c AS c1, bk.b, bk.part FROM bk WHERE {_QUERY}),
+rawd AS (SELECT dq.qid, db.id, sum({sql.square('dq.part', 's.sp', 64 // M)}) AS score FROM dq JOIN db ON db.c1 = dq.c1 JOIN sb s ON s.h = 0 AND s.b = dq.b AND s.j = db.fine[dq.b + 1] GROUP BY 1, 2),
+knn AS (SELECT qid, id, score, row_number() OVER (PARTITION BY qid ORDER BY score, id) AS rnk FROM rawd), {_BRUTE}
+{RECALL_SQL.format('knn')}"""
+
+
+@query("ivf_adc_anchor", f"WITH {_ONE_ADC}")
+def ivf_adc_anchor(spark, sf):
+    """One coarse space with the model that needs no training, all clusters visited."""
     df = emb(spark, sf)
-    model = train.fit(df, 4, M, KS, halves=2, rotation="none", balanced=False, iters=6)
+    model = anchor(df, K, M, KS, halves=1)
     q, db = df.where(_QUERY), en.encode(df.where(f"NOT ({_QUERY})"), model)
-    return metrics.recall_at(rawdist.knn(q, model, db, 100, 10**9), truth(spark, sf), [1, 10, 50, 100])
+    return metrics.recall_at(rawdist.knn(q, model, db, DEPTH, 10**9), truth(spark, sf), DEPTHS)
 
 
 @query("pq_scan_recall")
@@ -173,7 +248,7 @@ def distortion_by_variant(spark, sf):
 
 # ---- query sets
 
-PS = [10, 50, 100]
+PS = [10, 50, 100, 200, 300, 400, 500]
 
 
 def _expand_sql(ctes: str) -> str:
@@ -199,7 +274,7 @@ query("group_expand_label", _expand_sql(sql.codes("embeddings", K, M, KS) + ",\n
 
 
 def _pool_precision(how):
-    agg = {"sum": "sum(score)", "max": "max(score)"}[how]
+    agg = {"sum": "sum(score)", "max": "max(score)", "maxfreq": "max(score) * log2(1 + count(*))"}[how]
 
     def run(spark, sf):
         df = vectors.documents(spark, sf)
@@ -213,7 +288,7 @@ res AS (SELECT set_id, id, row_number() OVER (PARTITION BY set_id ORDER BY score
 SELECT set_id, CAST(p AS INTEGER) AS P, round(avg(CASE WHEN c.grp = r.set_id THEN 1.0 ELSE 0.0 END), 6) AS precision FROM res r JOIN codes c USING (id) CROSS JOIN (SELECT unnest({PS}) AS p) WHERE rnk <= p GROUP BY 1, 2"""
 
 
-for _how in ("sum", "max"):
+for _how in ("sum", "max", "maxfreq"):
     _run, _text = _pool_precision(_how)
     query(f"pool_{_how}_precision", _text)(_run)
 
@@ -263,7 +338,9 @@ SELECT threshold, found, correct, round(correct * 1.0 / nullif(found, 0), 6) AS
 SELECT CAST(t AS INTEGER) AS threshold, count(*) FILTER (WHERE s {sign} t) AS found, count(*) FILTER (WHERE s {sign} t AND tr.a IS NOT NULL) AS correct FROM pr LEFT JOIN truth tr ON tr.a = pr.a AND tr.b = pr.b CROSS JOIN (SELECT unnest({steps}) AS t) GROUP BY t) CROSS JOIN pos"""
 
 
-STEPS, DISTANCES = [5, 7, 9, 11, 13, 16], [0, 2, 4, 6, 8]
+STEPS, DISTANCES = [5, 7, 9, 11, 13, 16], [0, 2, 4, 6, 8, 12, 16]
+#: Bits of the random projections that duplicates are sought with.
+WIDE = 128
 
 
 @query("dedup_pr_ccm", _pr_sql(_DT + ", " + sql.pairs(), "SELECT a, b, hits AS s FROM pairs", STEPS, ">="))
@@ -271,22 +348,22 @@ def dedup_pr_ccm(spark, sf):
     return metrics.pair_pr(graph.pair_hits(doc_tokens(spark, sf), min(STEPS)).withColumnRenamed("hits", "s"), duplicate_truth(spark, sf), STEPS)
 
 
-Q["pair_pr_curve"], SQL["pair_pr_curve"] = Q["dedup_pr_ccm"], SQL["dedup_pr_ccm"]
-
-
-def _bit_pr(made):
+def _bit_pr(made, bits):
     def run(spark, sf):
         df = vectors.documents(spark, sf)
-        found = binary.hamming_pairs(coded(df, made(df)), max(DISTANCES), BITS)
+        found = binary.hamming_pairs(materialize(coded(df, made(df)), "bits"), max(DISTANCES), bits)
         return metrics.pair_pr(found.withColumnRenamed("dist", "s"), duplicate_truth(spark, sf), DISTANCES, rising=False)
 
     return run
 
 
-_BITPAIRS = f"SELECT a.id AS a, b.id AS b, {_DIST} AS s FROM codes a JOIN codes b ON a.id < b.id WHERE {_DIST} <= {max(DISTANCES)}"
-_doc = lambda ctes: ctes.replace(sql.vec("embeddings"), sql.vec("documents"))
-query("dedup_pr_lsh", _pr_sql(_doc(_LSH) + _WORDS, _BITPAIRS, DISTANCES, "<="))(_bit_pr(lambda df: hashes.lsh(64, BITS)))
-query("dedup_pr_pcae", _pr_sql(_doc(_MEAN) + _WORDS, _BITPAIRS, DISTANCES, "<="))(_bit_pr(lambda df: hashes.pca_signs(df, BITS, rotate=False)))
+def _bit_pairs(bits):
+    return f"SELECT a.id AS a, b.id AS b, {distance_sql(bits)} AS s FROM codes a JOIN codes b ON a.id < b.id WHERE {distance_sql(bits)} <= {max(DISTANCES)}"
+
+
+query("dedup_pr_lsh", _pr_sql(lsh_sql("documents", WIDE) + _WORDS, _bit_pairs(WIDE), DISTANCES, "<="))(_bit_pr(lambda df: hashes.lsh(64, WIDE), WIDE))
+query("dedup_pr_centred_sign", _pr_sql(_MEAN.replace(sql.vec("embeddings"), sql.vec("documents")) + _WORDS, _bit_pairs(BITS), DISTANCES, "<="))(_bit_pr(lambda df: hashes.pca_signs(df, BITS, rotate=False), BITS))
+query("dedup_pr_pcae")(_bit_pr(lambda df: hashes.pca_signs(df, BITS), BITS))
 
 
 @query("dedup_pr_trained")
@@ -302,7 +379,7 @@ def dedup_pr_trained(spark, sf):
 _PART = sql.codes("parts", K, M, KS) + ",\n" + sql.tokens(M)
 
 
-@query("cluster_parts", f"WITH RECURSIVE {_PART}, {sql.stoplist(2, 500)}, {sql.pairs('s_')}, edges AS (SELECT a, b FROM pairs WHERE hits > 6), {sql.components('edges', 'SELECT id FROM codes')} SELECT id, component FROM comp")
+@query("cluster_parts", f"WITH RECURSIVE {_PART}, {sql.pairs()}, edges AS (SELECT a, b FROM pairs WHERE hits > 6), {sql.components('edges', 'SELECT id FROM codes')} SELECT id, component FROM comp")
 def cluster_parts(spark, sf):
     return graph.cluster_all(codes_of(spark, sf, "parts"), M, 6)
 
@@ -310,7 +387,7 @@ def cluster_parts(spark, sf):
 _TURN = sql.codes("turns", K, M, KS) + ",\n" + sql.tokens(M)
 
 
-@query("cluster_turns", f"WITH RECURSIVE {_TURN}, {sql.stoplist(2, 300)}, {sql.pairs('s_')}, edges AS (SELECT a, b FROM pairs WHERE hits > 5), {sql.components('edges', 'SELECT id FROM codes')} SELECT id, component FROM comp")
+@query("cluster_turns", f"WITH RECURSIVE {_TURN}, {sql.pairs()}, edges AS (SELECT a, b FROM pairs WHERE hits > 5), {sql.components('edges', 'SELECT id FROM codes')} SELECT id, component FROM comp")
 def cluster_turns(spark, sf):
     return graph.cluster_all(codes_of(spark, sf, "turns"), M, 5)
 
@@ -331,12 +408,48 @@ reach(qid, id, seen) AS (SELECT qid, id, id FROM rs_ UNION SELECT r.qid, r.id, e
 best AS (SELECT r.qid, r.id, arg_min(r.seen, s.rnk) AS component FROM reach r JOIN rs_ s ON s.qid = r.qid AND s.id = r.seen GROUP BY 1, 2)"""
 
 
-@query("dedup_search_results", f"WITH RECURSIVE {_RES} SELECT qid, id, rnk, component, component = id AS kept, CASE WHEN component <> id THEN component END AS dup_of FROM best JOIN rs_ USING (qid, id)")
-def dedup_search_results(spark, sf):
+LEVELS = list(range(1, DM + 1))
+_IN_LISTS = "SELECT p.a, p.b, count(*) AS s FROM (SELECT DISTINCT x.id AS a, y.id AS b FROM rs_ x JOIN rs_ y ON x.qid = y.qid AND x.id < y.id) p JOIN tokens s ON s.id = p.a JOIN tokens t ON t.id = p.b AND t.token = s.token GROUP BY 1, 2"
+_LISTED = _RES[: _RES.index("ed AS (")].rstrip().rstrip(",")
+
+
+@query("dedup_pr_lists", _pr_sql(_LISTED, _IN_LISTS, LEVELS, ">=").replace("pos AS (SELECT count(*) AS k FROM truth)", "pos AS (SELECT count(*) AS k FROM truth JOIN (SELECT DISTINCT x.id AS a, y.id AS b FROM rs_ x JOIN rs_ y ON x.qid = y.qid AND x.id < y.id) USING (a, b))"))
+def dedup_pr_lists(spark, sf):
+    """Pairs of items of one result list, at every threshold from 1 equal token to all."""
     codes = codes_of(spark, sf, "documents", DK, DM, DKS)
+    lists = materialize(result_lists(codes).select("qid", "id"), "lists")
+    met = lists.select("qid", F.col("id").alias("a")).join(lists.select("qid", F.col("id").alias("b")), "qid").where("a < b").select("a", "b").distinct()
+    side = lambda x: codes.select(F.col("id").alias(x), *(F.col(c).alias(f"{c}_{x}") for c in ("c1", "c2", "fine")))
+    both = met.join(side("a"), "a").join(side("b"), "b")
+    row = lambda x: F.struct(*(F.col(f"{c}_{x}").alias(c) for c in ("c1", "c2", "fine"))).alias(x)
+    marked = both.select(F.col("a").alias("left_id"), F.col("b").alias("right_id"), row("a"), row("b"))
+    s = score.hits_pair("a", "b", DM).cast("long")
+    pairs = materialize(marked.select(F.col("left_id"), F.col("right_id"), s.alias("s")).toDF("a", "b", "s"), "pairs")
+    return metrics.pair_pr(pairs, duplicate_truth(spark, sf).join(pairs.select("a", "b"), ["a", "b"], "left_semi"), LEVELS)
+
+
+def result_lists(codes):
+    """(qid, id, rnk): the 100 best of each query, by equal tokens."""
     t = tk.flatten(codes)
     got = querysets.batch_search(t.where("id % 50 = 0").select(F.col("id").alias("set_id"), "token"), t.where("id % 50 <> 0"), top=100)
-    return graph.dedup_results(got.select(F.col("set_id").alias("qid"), "id", F.col("rnk").cast("int").alias("rnk")), codes, DM, 9)
+    return got.select(F.col("set_id").alias("qid"), "id", F.col("rnk").cast("int").alias("rnk"))
+
+
+@query("dedup_search_results", f"WITH RECURSIVE {_RES} SELECT qid, id, rnk, component, component = id AS kept, CASE WHEN component <> id THEN component END AS dup_of FROM best JOIN rs_ USING (qid, id)")
+def dedup_search_results(spark, sf):
+    codes = codes_of(spark, sf, "documents", DK, DM, DKS)
+    return graph.dedup_results(result_lists(codes), codes, DM, 9)
+
+
+_LONGEST = _RES[: _RES.index("best AS (")] + "ln AS (SELECT doc_id AS id, length(text) AS n FROM documents),\nbest AS (SELECT r.qid, r.id, first(r.seen ORDER BY ln.n DESC, r.seen) AS component FROM reach r JOIN ln ON ln.id = r.seen GROUP BY 1, 2)"
+
+
+@query("dedup_search_longest", f"WITH RECURSIVE {_LONGEST} SELECT qid, id, rnk, component, component = id AS kept, CASE WHEN component <> id THEN component END AS dup_of FROM best JOIN rs_ USING (qid, id)")
+def dedup_search_longest(spark, sf):
+    """Of duplicates in a list the longest text stays."""
+    codes = codes_of(spark, sf, "documents", DK, DM, DKS)
+    length = read_table(spark, sf, "documents").select(F.col("doc_id").alias("id"), F.length("text").alias("length"))
+    return graph.dedup_results(result_lists(codes).join(length, "id"), codes, DM, 9, keep="longest")
 
 
 def transfer_sql(view: str) -> str:
@@ -352,6 +465,36 @@ def transfer(spark, sf, view):
 
 query("transfer_model_pages", f"WITH {transfer_sql('pages')} SELECT id, c1, c2, fine FROM codes WHERE id >= 0")(lambda spark, sf: transfer(spark, sf, "pages"))
 
+_MOVED = transfer_sql("pages") + ",\n" + sql.tokens(DM) + f",\npairs AS (SELECT a.id AS a, b.id AS b, count(*) AS hits FROM tokens a JOIN tokens b ON a.token = b.token AND a.id < b.id AND a.id >= 0 GROUP BY 1, 2),\nedges AS (SELECT a, b FROM pairs WHERE hits > 11)"
+
+
+@query("dedup_transfer_pages", f"WITH RECURSIVE {_MOVED}, {sql.components('edges', 'SELECT id FROM codes WHERE id >= 0')} SELECT id, component FROM comp")
+def dedup_transfer_pages(spark, sf):
+    """Duplicate pages by codes that were learnt on documents."""
+    return graph.cluster_all(transfer(spark, sf, "pages"), DM, 11)
+
+
+THRESHOLDS, LEAST_ITEMS, MOST_ITEMS, MID = [3, 5, 7, 9, 11, 13], 10, 10_000, 10
+_TAGGED = 1 << 44
+_SWEEP = _DT + ",\n" + sql.stoplist(LEAST_ITEMS, MOST_ITEMS) + ",\n" + sql.pairs("s_") + f",\nedges AS (SELECT t * {_TAGGED} + a AS a, t * {_TAGGED} + b AS b FROM pairs CROSS JOIN (SELECT unnest({THRESHOLDS}) AS t) WHERE hits > t)"
+
+
+@query("cluster_by_threshold", f"""WITH RECURSIVE {_SWEEP}, {sql.components('edges')}, ct AS (SELECT component // {_TAGGED} AS t, count(*) AS n FROM comp GROUP BY component),
+et AS (SELECT a // {_TAGGED} AS t, count(*) AS edges FROM edges GROUP BY 1)
+SELECT CAST(t AS BIGINT) AS threshold, any_value(edges) AS edges, count(*) AS components, count(*) FILTER (WHERE n >= {MID}) AS mid_size, max(n) AS largest FROM ct JOIN et USING (t) GROUP BY t""")
+def cluster_by_threshold(spark, sf):
+    """Edges, components and mid-size clusters by the threshold, under the published stoplist; one pass of components for all thresholds."""
+    kept = tk.stoplist(materialize(doc_tokens(spark, sf), "tokens"), LEAST_ITEMS, MOST_ITEMS)
+    pairs = graph.pair_hits(kept, min(THRESHOLDS) + 1)
+    steps = F.filter(F.array(*(F.lit(t).cast("long") for t in THRESHOLDS)), lambda t: t < F.col("hits"))
+    tagged = pairs.withColumn("t", F.explode(steps)).select((F.col("t") * _TAGGED + F.col("a")).alias("a"), (F.col("t") * _TAGGED + F.col("b")).alias("b"))
+    tagged = materialize(tagged, "edges")
+    step = lambda c: F.expr(f"{c} DIV {_TAGGED}").alias("threshold")
+    sizes = graph.components(tagged).groupBy("component").agg(F.count(F.lit(1)).alias("n")).select(step("component"), "n")
+    found = sizes.groupBy("threshold").agg(F.count(F.lit(1)).alias("components"), F.count_if(F.col("n") >= MID).alias("mid_size"), F.max("n").alias("largest"))
+    return tagged.groupBy(step("a")).agg(F.count(F.lit(1)).alias("edges")).join(found, "threshold")
+
+
 _OVER = transfer_sql("benchmark") + ",\n" + sql.tokens(DM) + ",\n" + sql.codes("documents", DK, DM, DKS, p="d_") + ",\n" + sql.tokens(DM, "d_")
 
 

@@ -1,13 +1,14 @@
 """Worked examples and invariants of the methods, on hand-made points and small tables."""
 
 import itertools
+import tracemalloc
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from codematch.operators import encode as en, graph, kmeans, metrics, prep, querysets, rotate, score, search, tokens as tk, train, vectors
-from codematch.operators.baselines import binary, brute, hashes
+from codematch.operators.baselines import binary, brute, hashes, rawdist
 from codematch.operators.model import CodeModel, anchor
 
 X = {1: (1.0, 0.0, 9.0, 10.0), 2: (0.0, 1.0, 10.0, 9.0), 3: (1.0, 0.0, 1.0, 0.0)}
@@ -194,3 +195,86 @@ def test_pairs_by_blocks_equal_all_pairs(spark, emb):
         assert len(got) == len({(r.a, r.b) for r in got}) and {(r.a, r.b): r.hits for r in got} == {p: n for p, n in pairs.items() if n >= h}
     want = graph.union_find([(r.a, r.b) for r in graph.pair_hits_naive(twins, 8).where("hits > 3").collect()])
     assert {r.id: r.component for r in graph.cluster_all(twins, 8, 3).where("id <> component").collect()} == {i: c for i, c in want.items() if i != c}
+
+
+def test_one_coarse_space_ranks_by_quantized_distance(spark, emb):
+    model = anchor(emb, 6, 8, 16, halves=1)
+    q, db = emb.where("id % 10 = 0"), emb.where("id % 10 <> 0")
+    codes = en.encode(db, model)
+    got = {(r.qid, r.id): r.score for r in rawdist.knn(q, model, codes, 5, 10**9).collect()}
+    rows = codes.collect()
+    back = model.decode(np.array([[r.c1] for r in rows]), np.array([list(r.fine) for r in rows]))
+    for r in q.collect():
+        d = ((np.array(r.vec) - back) ** 2).sum(1)
+        best = sorted(zip(np.round(d, 9), (x.id for x in rows), strict=True))[:5]
+        assert all(abs(got[r.id, i] - v) < 1e-6 for v, i in best)
+    near = search.knn(q, model, codes, 5, 20)
+    assert near.where("qid = id").count() == 0 and near.groupBy("qid").count().where("count > 5").count() == 0
+
+
+def test_only_visited_clusters_are_encoded(spark, emb):
+    model = anchor(emb, 8, 8, 16, rotate=True)
+    q, sizes = emb.where("id % 10 = 0"), search.cell_sizes(en.encode(emb, model))
+    cells = search.visited_cells(q, model, sizes, 30, codes=True).collect()
+    probes = {(r.id, r.half, r.c): list(r.fine) for r in en.encode_probes(q, model, model.K).collect()}
+    assert cells and all(list(r.qfine) == probes[r.qid, 0, r.c1] + probes[r.qid, 1, r.c2] for r in cells)
+
+
+def test_many_clusters_take_bounded_memory(spark, emb):
+    """Encoding and search with K = 1024: temporaries don't grow with rows times clusters."""
+    rng = np.random.default_rng(0)
+    model = CodeModel(m=8, coarse=rng.normal(size=(2, 1024, 32)), sub=rng.normal(size=(8, 16, 8)))
+    x = rng.normal(size=(20_000, 64))
+    tracemalloc.start()
+    c, _ = model.encode(x)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 120 << 20  # all distances at once would be 160 MB a half, and as much again for each temporary
+    assert (c[:50, 0] == ((x[:50, None, :32] - model.coarse[0]) ** 2).sum(2).argmin(1)).all()
+    codes = en.encode(emb, model)
+    got = search.knn(emb.where("id % 50 = 0"), model, codes, 5, 40).collect()
+    assert got and max(r.rnk for r in got) <= 5
+
+
+def test_learned_hashes_come_from_all_rows(spark, emb):
+    x = np.array([r.vec for r in emb.orderBy("id").collect()])
+    mean = x.mean(0)
+    values, axes = np.linalg.eigh(np.cov(x.T, bias=True))
+    axes = axes[:, np.argsort(-values)][:, :8]
+    d, bits, of = hashes.pca_signs(emb, 8)
+    same = (of(x) == ((x - mean) @ axes > 0)).mean(0)
+    assert (d, bits) == (64, 8) and (np.maximum(same, 1 - same) > 0.999).all()  # an axis has no sign
+    _, _, spread = hashes.spectral(emb, 16)
+    assert spread(x).shape == (len(x), 16)
+    _, _, rotated = hashes.itq(emb, 8, iters=20)
+    v = (x - mean) @ prep.eigen(prep.covariance(emb)[2])[1][:, :8]
+    r, _ = np.linalg.qr(np.random.default_rng(0).normal(size=(8, 8)))
+    for _ in range(20):
+        u, _, wt = np.linalg.svd(v.T @ np.where(v @ r >= 0, 1.0, -1.0))
+        before, r = r, u @ wt
+        if np.abs(r - before).max() < 1e-4:
+            break
+    assert (rotated(x) == (v @ r >= 0)).mean() > 0.999
+
+
+def test_query_sets_beyond_the_bound_are_refused(spark, emb, monkeypatch):
+    monkeypatch.setattr(brute, "MOST_QUERIES", 3)
+    for f in (brute.random_rank, brute.knn):
+        with pytest.raises(ValueError):
+            f(emb.limit(4), emb, 2)
+
+
+def test_one_list_is_deduplicated_without_spark(spark, emb):
+    codes = en.encode(emb, anchor(emb, 4, 8, 4))
+    results = emb.where("id < 60").select(F.lit(1).cast("long").alias("qid"), "id", (60 - F.col("id")).cast("int").alias("rnk"), (F.col("id") % 7).alias("length"))
+    own = results.join(codes, "id").collect()
+    for keep in ("best_rank", "smallest_id", "longest"):
+        want = {r.id: r.component for r in graph.dedup_results(results, codes, 8, 3, keep=keep).collect()}
+        rows, name = graph.dedup_list([r.asDict() for r in own], 8, 3, keep=keep)
+        assert {r["id"]: rows[c]["id"] for r, c in zip(rows, name, strict=True)} == want and len(set(want.values())) < 60
+
+
+def test_turns_of_long_conversations_keep_their_ids(spark, tmp_path):
+    rows = [(1, 1000, "user", "a b"), (2, 0, "user", "c d")]
+    spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").write.parquet(f"{tmp_path}/conversations.parquet")
+    assert vectors.turns(spark, str(tmp_path)).select("id").distinct().count() == 2
