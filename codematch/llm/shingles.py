@@ -21,7 +21,7 @@ def mix(x: np.ndarray, salt: int = 0) -> np.ndarray:
 class WordHashes(dict):
     """word -> 64-bit hash; emptied when it has grown large, so a worker's memory stays bounded."""
 
-    LIMIT = 150_000
+    LIMIT = 100_000
 
     def __missing__(self, word: bytes) -> int:
         if len(self) > self.LIMIT:

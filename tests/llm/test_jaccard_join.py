@@ -54,7 +54,8 @@ def corpus(seed):
 def test_components_equal_all_pairs(spark, monkeypatch, seed, small, hot):
     monkeypatch.setattr(jj, "SMALL", small)
     monkeypatch.setattr(jj, "LOCAL_LINKS", 0 if seed == 1 else 10**6)
-    monkeypatch.setattr(jj, "FEW_TIES", 0 if seed == 2 else 2000)
+    monkeypatch.setattr(jj, "PIVOTS", 2 if seed == 2 else 64)
+    monkeypatch.setattr(jj, "BROADCAST_PIVOTS", 0 if seed == 2 else 10**6)
     if seed > 1:  # pairs within small tiers and across their borders
         monkeypatch.setattr(jj, "TIERS", ((40, 1), (100, 4), (1 << 62, 8)))
         monkeypatch.setattr(jj, "COLUMNS", 4)
@@ -64,6 +65,27 @@ def test_components_equal_all_pairs(spark, monkeypatch, seed, small, hot):
     assert sorted((repr(r.doc_id), r.n_shingles, repr(r.component_id)) for r in got) == brute(rows)
 
 
+@pytest.mark.parametrize(("bits", "block", "partners"), [(4, 1024, 256), (64, 2, 1)])
+def test_digests_that_clash_and_groups_dealt_over_blocks(spark, monkeypatch, bits, block, partners):
+    monkeypatch.setattr(jj, "SMALL", 2)
+    monkeypatch.setattr(jj, "PARTNERS", partners)
+    rows = corpus(5)
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = jj.jaccard_components(docs, frequent_from=10**9, block=block, digest_bits=bits).collect()
+    assert sorted((repr(r.doc_id), r.n_shingles, repr(r.component_id)) for r in got) == brute(rows)
+
+
+def test_pairs_of_a_group_meet_once_and_few_rows_come_out(spark):
+    """Documents that share one long passage: no pair is alike, and the pairs that come out don't grow with the keys they share."""
+    members = [(k, i, 100, i) for k in range(30) for i in range(40)]
+    rest = spark.createDataFrame(members, "key long, node long, n long, part long")
+    merged = jj._merged(rest.select("key", "node", "n"))
+    assert merged.select("key").distinct().count() == 1 and merged.count() == 40
+    x, y = jj._met(merged.withColumn("part", merged.node), 75, 7)
+    met = x.alias("x").join(y.alias("y"), ["key", "size", "i", "j"]).where("x.node < y.node")
+    assert met.count() == met.select("x.node", "y.node").distinct().count() == 40 * 39 // 2
+
+
 def test_empty_table(spark):
     assert jj.jaccard_components(spark.createDataFrame([], "doc_id long, text string")).count() == 0
 
