@@ -44,13 +44,35 @@ def corpus(seed=3):
     return texts + [texts[8], texts[9], texts[8], " ".join(base)]
 
 
-@pytest.mark.parametrize("hot", [10**9, 3])
-def test_cut_repeats_equals_brute_force(spark, hot):
+@pytest.mark.parametrize(("hot", "bits"), [(10**9, 64), (3, 64), (5, 3)])
+def test_cut_repeats_equals_brute_force(spark, hot, bits):
     texts = corpus()
-    docs = spark.createDataFrame([(i, t, "x") for i, t in enumerate(texts)], "doc_id long, text string, node string")
-    got = {r.doc_id: tuple(r[1:]) for r in repeats.cut_repeats(docs, span=60, gram=12, hot_from=hot, salts=3).collect()}
+    docs = spark.createDataFrame([(i, t, "x", f"n{i}") for i, t in enumerate(texts)], "doc_id long, text string, node string, kept string")
+    got = {r.doc_id: tuple(r) for r in repeats.cut_repeats(docs, span=60, gram=12, hot_from=hot, with_text=True, carry=("node", "text"), hash_bits=bits).collect()}
     want = brute(texts, 60)
-    assert {i: w for i, w in enumerate(want) if got[i] != w} == {}
+    assert {i: w for i, w in enumerate(want) if got[i][1:5] != w} == {}
+    assert all(g[6] == "x" and g[7] == texts[i] for i, g in got.items())
+
+
+def test_numbers_are_the_same_in_python_and_in_the_jvm(spark):
+    texts = ["", "a", "é😀", "x" * 1000]
+    rows = spark.createDataFrame([(t,) for t in texts], "text string").select("text", *(c.alias(n) for c, n in zip(repeats.text_key(repeats.F.col("text")), ("h1", "h2"), strict=True))).collect()
+    for r in rows:
+        assert repeats.node_of(r.text.encode(), {}) == r.h1
+        assert repeats.node_of(r.text.encode(), {(r.h1, r.h2): 77}) == 77
+
+
+def test_long_texts_go_in_pieces(monkeypatch):
+    """Equal strings have their place at the same offset, wherever pieces begin."""
+    rng = np.random.default_rng(0)
+    data = rng.integers(97, 100, 5000).astype(np.uint8)
+    data[3000:3700] = data[100:800]
+    whole = repeats.anchors(data, 60, 12)
+    monkeypatch.setattr(repeats, "PIECE", 333)
+    for place, h, first, last in (whole, repeats.anchors(data, 60, 12)):
+        assert sum((last - first + 1).tolist()) == len(data) - 59
+        at = {s: (p - s, x) for p, x, f, e in zip(place.tolist(), h.tolist(), first.tolist(), last.tolist(), strict=True) for s in range(f, e + 1)}
+        assert all(0 <= d <= 48 for d, _ in at.values()) and all(at[100 + i] == at[3000 + i] for i in range(640))
 
 
 def test_empty_and_repeated_rows(spark):
