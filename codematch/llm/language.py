@@ -4,14 +4,14 @@ Four kinds of evidence meet in one posterior: how likely a text is under each la
 byte trigrams; the language that its markup or its metadata declare; the suffix of its
 address; and a prior of its host. The prior is hierarchical: counts of a host are smoothed
 by those of its address suffix, and these by those of the corpus, all from grouped
-aggregation over every row.
+aggregation over every row. A text weighs as much as its number of trigrams, up to a bound,
+so a few letters don't outvote the other evidence.
 
 The trigram tables are learnt from all distinct texts, by the languages they declare.
 """
 
 from __future__ import annotations
 
-import ctypes
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -22,6 +22,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from codematch.functions.arrays import text_key
+from codematch.llm.joins import left_join
+from codematch.llm.workers import give_back, released
 from codematch.sources.io import discard, materialize
 
 GRAMS = 1 << 14
@@ -35,8 +37,6 @@ DECLARED, SUFFIX = 0.9, 0.7
 EFFECTIVE = 60.0
 #: A text is no language if its grams are less likely than even ones, or the best is less probable than this.
 LEAST = 0.5
-#: Broadcast the table of hosts only up to this many rows.
-BROADCAST_HOSTS = 200_000
 #: Broadcast the texts that have copies only up to this many.
 BROADCAST_COPIES = 200_000
 # Suffixes of countries with one main language.
@@ -49,12 +49,6 @@ _LUT[65:91] = np.arange(97, 123)
 _LUT[128:] = np.arange(128, 256)
 
 
-def give_back() -> None:
-    """Return a worker's unused memory to the system: idle workers stay alive."""
-    pa.default_memory_pool().release_unused()
-    getattr(ctypes.CDLL(None), "malloc_trim", lambda _: 0)(0)
-
-
 def visible_text(html: str | None) -> str:
     """Text of a page without scripts, styles, comments and tags."""
     return _TAG.sub(" ", _HIDDEN.sub(" ", html)) if html else ""
@@ -82,11 +76,15 @@ class Profiles:
     table: np.ndarray
 
     def evidence(self, text: bytes | None) -> list[float]:
-        """Mean log likelihood of a text's grams above even ones, by language; empty without grams."""
+        """Mean log likelihood of a text's grams above even ones, by language, and their number; empty without grams."""
         places = gram_places(text)
         if not len(places):
             return []
-        return (self.table[places].mean(0) + np.log(GRAMS)).tolist()
+        if len(places) < 4 * GRAMS:
+            mean = self.table[places].mean(0)
+        else:
+            mean = np.bincount(places, minlength=GRAMS) @ self.table / len(places)
+        return [*(mean + np.log(GRAMS)).tolist(), float(len(places))]
 
 
 def normal_language(c: Column) -> Column:
@@ -123,7 +121,6 @@ def learn(texts: DataFrame, least_rows: int = 10) -> Profiles:
                         np.add.at(total[language], places, 1 / n)
                     else:
                         total[language] += np.bincount(places, minlength=GRAMS) / n
-        give_back()
         for language, counts in total.items():
             yield _slices([(language, i, x) for i, x in enumerate(counts.reshape(-1, SLICE))])
 
@@ -135,10 +132,10 @@ def learn(texts: DataFrame, least_rows: int = 10) -> Profiles:
         yield _slices([(*k, x) for k, x in total.items()])
 
     schema = "language string, slice int, counts binary"
-    parts = each.select("declared", "text", F.coalesce("n", F.lit(1)).alias("n")).mapInArrow(count, schema)
+    parts = each.select("declared", "text", F.coalesce("n", F.lit(1)).alias("n")).mapInArrow(released(count), schema)
     counts = np.zeros((len(languages), GRAMS))
     place = {x: i for i, x in enumerate(languages)}
-    for r in parts.repartition(16, "language", "slice").mapInArrow(add, schema).collect():
+    for r in parts.repartition(16, "language", "slice").mapInArrow(released(add), schema).collect():
         counts[place[r.language], r.slice * SLICE : (r.slice + 1) * SLICE] += np.frombuffer(bytes(r.counts))
     discard(copies)
     counts = np.rint(counts) + 0.2  # copies add up to one but for rounding
@@ -159,53 +156,66 @@ def text_evidence(profiles: Profiles, text: Column) -> Column:
     return of(text)
 
 
-def _host_table(rows: DataFrame, languages: list[str]) -> DataFrame:
-    """Log prior of each (suffix, host), as an array by language; rows: suffix, host, top (place of the likeliest language by text, or null)."""
-    names = [f"n{i}" for i in range(len(languages))]
-    per = rows.where("top IS NOT NULL").groupBy("suffix", "host").agg(*(F.sum((F.col("top") == i).cast("long")).alias(n) for i, n in enumerate(names)))
-    by_suffix = per.groupBy("suffix").agg(*(F.sum(n).alias(f"s_{n}") for n in names))
+def _host_counts(rows: DataFrame, languages: int) -> DataFrame:
+    """(suffix, host, n0, n1, ...): rows of each host by language; rows: suffix, host, top (place of the likeliest language by text, or null)."""
+    return rows.where("top IS NOT NULL").groupBy("suffix", "host").agg(*(F.sum((F.col("top") == i).cast("long")).alias(f"n{i}") for i in range(languages)))
+
+
+def _host_table(per: DataFrame, languages: int) -> tuple[DataFrame, list[float]]:
+    """Log prior of each (suffix, host) of _host_counts, as an array by language, with the number of its rows; and that of the corpus."""
+    names = [f"n{i}" for i in range(languages)]
+    by_suffix = per.groupBy(F.col("suffix").alias("zone")).agg(*(F.sum(n).alias(f"s_{n}") for n in names))
     whole = per.agg(*(F.coalesce(F.sum(n), F.lit(0)).alias(n) for n in names)).first()
     base = np.array([whole[n] for n in names], float) + 1
     base = base / base.sum()
     total = lambda prefix: sum((F.col(f"{prefix}{n}") for n in names), F.lit(0))
     suffix_share = [(F.col(f"s_{n}") + STRENGTH * float(p)) / (total("s_") + STRENGTH) for n, p in zip(names, base, strict=True)]
-    joined = per.join(by_suffix, per.suffix.eqNullSafe(by_suffix.suffix)).drop(by_suffix.suffix)
+    joined = per.join(by_suffix, per.suffix.eqNullSafe(by_suffix.zone))
     share = [(F.col(n) + STRENGTH * s) / (total("") + STRENGTH) for n, s in zip(names, suffix_share, strict=True)]
-    return joined.select("suffix", "host", F.array(*(F.log(x) for x in share)).alias("prior")), [float(x) for x in np.log(base)]
+    return joined.select(F.col("suffix").alias("lid_zone"), F.col("host").alias("lid_place"), F.array(*(F.log(x) for x in share)).alias("lid_prior"), total("").alias("lid_rows")), [float(x) for x in np.log(base)]
 
 
-def identify(rows: DataFrame, text: str = "text", declared: Column | None = None, suffix: Column | None = None, host: Column | None = None, profiles: Profiles | None = None) -> DataFrame:
+def identify(
+    rows: DataFrame, text: str = "text", declared: Column | None = None, suffix: Column | None = None, host: Column | None = None,
+    profiles: Profiles | None = None, keep: list[str] | None = None,
+) -> DataFrame:
     """rows with lid_language, lid_probability and lid_accepted.
 
     Evidence that is null says nothing. A row is rejected if its text has no grams, if its
     best language explains them worse than even chances, or if the best posterior is under
     LEAST; lid_language is then the best guess, null without grams. Repeated rows get equal
-    results. Columns that begin with lid_ are replaced.
+    results. Columns that begin with lid_ are replaced. keep names the columns of rows to
+    return, by default all. The evidence of the texts is computed once and written, with
+    these columns, to the shared folder.
     """
     none = F.lit(None).cast("string")
     rows = rows.drop(*(c for c in rows.columns if c.startswith("lid_")))
+    keep = rows.columns if keep is None else keep
     body = F.col(text).cast("string")
-    marked = rows.withColumns({"lid_declared": normal_language(declared if declared is not None else none), "lid_suffix": suffix if suffix is not None else none, "lid_host": host if host is not None else none})
+    evidence = {"lid_declared": normal_language(declared if declared is not None else none), "lid_suffix": suffix if suffix is not None else none, "lid_host": host if host is not None else none}
+    marked = rows.withColumns(evidence)
     profiles = profiles or learn(marked.select(body.alias("text"), F.col("lid_declared").alias("declared")))
     languages = profiles.languages
-    top = F.array_position(F.col("e"), F.array_max("e")).cast("int") - 1
-    evidence = marked.select(F.col("lid_suffix").alias("suffix"), F.col("lid_host").alias("host"), text_evidence(profiles, body).alias("e"))
-    table, base = _host_table(evidence.select("suffix", "host", F.when(F.size("e") > 0, top).alias("top")), languages)
-    table = table.select(F.col("suffix").alias("lid_s"), F.col("host").alias("lid_h"), F.col("prior").alias("lid_prior")).persist()
-    small = F.broadcast(table) if table.count() <= BROADCAST_HOSTS else table
-    out = marked.withColumn("lid_text", text_evidence(profiles, body)).join(small, F.col("lid_suffix").eqNullSafe(F.col("lid_s")) & F.col("lid_host").eqNullSafe(F.col("lid_h")), "left")
-    others = max(len(languages) - 1, 1)
+    k = len(languages)
+    work = materialize(marked.withColumn("lid_grams", text_evidence(profiles, body)).select(*keep, *evidence, "lid_grams"), "evidence")
+    lines = F.slice("lid_grams", 1, k)
+    work = work.withColumns({"lid_text": lines, "lid_n": F.get("lid_grams", F.lit(k))}).drop("lid_grams")
+    top = F.array_position("lid_text", F.array_max("lid_text")).cast("int") - 1
+    seen = work.select(F.col("lid_suffix").alias("suffix"), F.col("lid_host").alias("host"), F.when(F.size("lid_text") > 0, top).alias("top"))
+    table, base = _host_table(materialize(_host_counts(seen, k), "hosts"), k)
+    out = left_join(work, table, {"lid_suffix": "lid_zone", "lid_host": "lid_place"}, size="lid_rows", found="lid_prior")
+    others = max(k - 1, 1)
     said = lambda c, right, i: F.when(c == languages[i], F.log(F.lit(right))).when(c.isin(languages), F.log(F.lit((1 - right) / others))).otherwise(F.lit(0.0))
-    country = F.col("lid_suffix")
-    meant = F.create_map(*(F.lit(x) for kv in SUFFIXES.items() for x in kv))[country]
-    weight = F.lit(EFFECTIVE)
-    logit = F.array(*(F.get("lid_text", F.lit(i)) * weight + F.get(F.coalesce("lid_prior", F.array(*map(F.lit, base))), F.lit(i)) + said(F.col("lid_declared"), DECLARED, i) + said(meant, SUFFIX, i) for i in range(len(languages))))
-    out = out.withColumn("lid_logit", F.when(F.size("lid_text") > 0, logit))
+    meant = F.create_map(*(F.lit(x) for kv in SUFFIXES.items() for x in kv))[F.col("lid_suffix")]
+    weight = F.least("lid_n", F.lit(EFFECTIVE))
+    prior = F.coalesce("lid_prior", F.array(*map(F.lit, base)))
+    told = lambda i: F.get("lid_text", F.lit(i)) * weight + F.get(prior, F.lit(i)) + said(F.col("lid_declared"), DECLARED, i) + said(meant, SUFFIX, i)
+    out = out.withColumn("lid_logit", F.when(F.size("lid_text") > 0, F.array(*map(told, range(k)))))
     best = F.array_max("lid_logit")
     out = out.withColumn("lid_probability", F.coalesce(1 / F.aggregate("lid_logit", F.lit(0.0), lambda a, x: a + F.exp(x - best)), F.lit(0.0)))
     out = out.withColumn("lid_language", F.get(F.array(*map(F.lit, languages)), F.array_position(F.col("lid_logit"), best).cast("int") - 1))
     ok = (F.size("lid_text") > 0) & (F.array_max("lid_text") > 0) & (F.col("lid_probability") >= LEAST)
-    return out.withColumn("lid_accepted", F.coalesce(ok, F.lit(False))).drop("lid_text", "lid_logit", "lid_prior", "lid_s", "lid_h", "lid_declared", "lid_suffix", "lid_host")
+    return out.select(*keep, "lid_language", "lid_probability", F.coalesce(ok, F.lit(False)).alias("lid_accepted"))
 
 
 def documents_and_pages(docs: DataFrame, pages: DataFrame) -> DataFrame:
@@ -226,4 +236,4 @@ def documents_and_pages(docs: DataFrame, pages: DataFrame) -> DataFrame:
     none = F.lit(None).cast("string")
     d = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.lit(None).cast("long").alias("page_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("tongue"), none.alias("zone"), F.col("source").cast("string").alias("place"))
     p = pages.select(F.lit(None).cast("long").alias("doc_id"), F.col("page_id").cast("long").alias("page_id"), shown(F.col("html")).alias("text"), F.when(tag != "", tag).alias("tongue"), F.when(address != "", F.regexp_extract(address, r"([a-z0-9-]+)\.?$", 1)).alias("zone"), F.when(address != "", address).alias("place"))
-    return identify(d.unionAll(p), declared=F.col("tongue"), suffix=F.col("zone"), host=F.col("place")).select("doc_id", "page_id", "lid_language", "lid_probability", "lid_accepted")
+    return identify(d.unionAll(p), declared=F.col("tongue"), suffix=F.col("zone"), host=F.col("place"), keep=["doc_id", "page_id"])
