@@ -2,7 +2,8 @@
 
 Each archive starts with a skippable frame that holds a dictionary trained on records of
 that archive; every record is a frame of its own, compressed with it. A payload that several
-pages have is stored once, under the smallest page_id; the others are revisit records.
+pages have is stored once, under the smallest page_id; the others are revisit records, which
+are made from its digest and length: their payloads go nowhere.
 
 Tasks write archives under names that are never used twice and report them in a manifest.
 Only what a finished task reported is read, so lost executors and repeated tasks leave
@@ -24,7 +25,9 @@ from pyarrow import fs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codematch.sources.io import materialize, scratch_path
+from codematch.llm.joins import left_join
+from codematch.llm.workers import released
+from codematch.sources.io import discard, materialize, scratch_path
 
 # Fixed values of the formats.
 DICTIONARY_MAGIC = 0x184D2A5D
@@ -45,12 +48,12 @@ def record_id(page_id: int | None) -> str:
     return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_OID, f'page {page_id}') if page_id is not None else uuid.uuid4()}>"
 
 
-def record(page_id: int | None, url: str | None, payload: bytes, refers_to: int | None, date: str) -> bytes:
-    """One WARC record; a revisit if refers_to is given. A header's control characters are percent-encoded."""
+def record(page_id: int | None, url: str | None, payload: bytes | None, refers_to: int | None, date: str, length: int, digest: str) -> bytes:
+    """One WARC record; a revisit, without payload, if refers_to is given. A header's control characters are percent-encoded."""
     revisit = refers_to is not None
-    http = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: %d\r\n\r\n" % len(payload)
+    http = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: %d\r\n\r\n" % length
     block = http if revisit else http + payload
-    fields = [("WARC-Type", "revisit" if revisit else "response"), ("WARC-Record-ID", record_id(page_id)), ("WARC-Date", date), ("Content-Type", "application/http; msgtype=response"), ("WARC-Payload-Digest", f"sha1:{base32_sha1(payload)}"), ("X-Payload-Length", str(len(payload)))]
+    fields = [("WARC-Type", "revisit" if revisit else "response"), ("WARC-Record-ID", record_id(page_id)), ("WARC-Date", date), ("Content-Type", "application/http; msgtype=response"), ("WARC-Payload-Digest", f"sha1:{digest}"), ("X-Payload-Length", str(length))]
     if page_id is not None:
         fields.append(("X-Page-ID", str(page_id)))
     if url is not None:
@@ -126,8 +129,9 @@ def _write(folder: str, date: str, archive_bytes: int):
         for batch in batches:
             for at in range(0, batch.num_rows, 64):
                 part = batch.slice(at, 64)
-                for page_id, url, refers_to, html in zip(*(part.column(i).to_pylist() for i in range(3)), part.column(3).cast(pa.binary()).to_pylist(), strict=True):
-                    records.append(record(page_id, url, html or b"", refers_to, date))
+                for page_id, url, refers_to, length, sha1, html in zip(*(part.column(i).to_pylist() for i in range(5)), part.column(5).cast(pa.binary()).to_pylist(), strict=True):
+                    digest = base64.b32encode(bytes.fromhex(sha1)).decode()
+                    records.append(record(page_id, url, html, refers_to, date, length, digest))
                     size += len(records[-1])
                     if size >= archive_bytes:
                         yield close()
@@ -138,21 +142,28 @@ def _write(folder: str, date: str, archive_bytes: int):
     return run
 
 
-def write_archives(pages: DataFrame, folder: str, least_bytes: int = 0, date: str = "2000-01-01T00:00:00Z", archive_bytes: int = ARCHIVE_BYTES) -> DataFrame:
+def write_archives(pages: DataFrame, folder: str, least_bytes: int = 0, date: str = "2000-01-01T00:00:00Z", archive_bytes: int = ARCHIVE_BYTES, limits: dict | None = None) -> DataFrame:
     """Writes a record per row of pages(page_id BIGINT, url, html) under folder; returns the manifest.
 
     Of rows with equal payloads of least_bytes or more, those with the smallest page_id are
     responses and the others revisit it. Null html is an empty payload, a null url is left
     out. A row without page_id revisits if an equal payload has one; else it is a response.
     Repeated rows with the smallest page_id are responses each. Other columns are ignored.
-    The manifest is written before this returns.
+    Pages are written where they lie: only digests are shuffled, and the list of repeated ones
+    is joined to the pages (limits: those of joins.left_join). The manifest is written before
+    this returns.
     """
     html = F.coalesce(F.col("html").cast("string"), F.lit(""))
-    rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), html.alias("html")).withColumn("digest", F.sha1(html.cast("binary")))
-    first = rows.groupBy("digest").agg(F.min("page_id").alias("first"))
-    revisit = F.when((F.octet_length("html") >= least_bytes) & ~F.col("page_id").eqNullSafe(F.col("first")), F.col("first"))
-    ready = rows.join(first, "digest").withColumn("refers_to", revisit).select("page_id", "url", "refers_to", "html")
-    return materialize(ready.mapInArrow(_write(folder, date, archive_bytes), "path string, n_records long, n_bytes long, dictionary_bytes long"), "manifest")
+    rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), html.alias("html"))
+    rows = rows.withColumns({"n_bytes": F.octet_length("html").cast("long"), "sha1": F.sha1(F.col("html").cast("binary"))})
+    copied = rows.where(F.col("n_bytes") >= least_bytes).groupBy(F.col("sha1").alias("same")).agg(F.min("page_id").alias("first"), F.count(F.lit(1)).alias("copies"))
+    copied = materialize(copied.where("copies > 1 AND first IS NOT NULL"), "copied")
+    ready = left_join(rows, copied, {"sha1": "same"}, size="copies", found="first", **(limits or {}))
+    revisit = F.when(~F.col("page_id").eqNullSafe(F.col("first")), F.col("first"))
+    ready = ready.select("page_id", "url", revisit.alias("refers_to"), "n_bytes", "sha1", F.when(revisit.isNull(), F.col("html")).alias("html"))
+    manifest = materialize(ready.mapInArrow(released(_write(folder, date, archive_bytes)), "path string, n_records long, n_bytes long, dictionary_bytes long"), "manifest")
+    discard(copied)
+    return manifest
 
 
 def _read(folder: str, payloads: bool):
@@ -188,7 +199,7 @@ def read_archives(manifest: DataFrame, folder: str, payloads: bool = True) -> Da
     """The records of the archives that a manifest lists; payload is null for revisits. A record that doesn't match its digest is an error."""
     spark = manifest.sparkSession
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    return manifest.select("path").repartition(n, "path").mapInArrow(_read(folder, payloads), "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long, payload binary")
+    return manifest.select("path").repartition(n, "path").mapInArrow(released(_read(folder, payloads)), "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long, payload binary")
 
 
 def archived_pages(pages: DataFrame) -> DataFrame:

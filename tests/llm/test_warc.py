@@ -9,7 +9,8 @@ from codematch.llm import warc
 
 
 def test_archive_round_trip():
-    records = [warc.record(i, f"http://h/{i}\n x", f"<p>{'same words ' * 30}{i}</p>".encode(), None, "2000-01-01T00:00:00Z") for i in range(200)]
+    payloads = [f"<p>{'same words ' * 30}{i}</p>".encode() for i in range(200)]
+    records = [warc.record(i, f"http://h/{i}\n x", p, None, "2000-01-01T00:00:00Z", len(p), warc.base32_sha1(p)) for i, p in enumerate(payloads)]
     data, size = warc.archive(records)
     assert size > 0 and struct.unpack("<I", data[:4])[0] == warc.DICTIONARY_MAGIC
     length = struct.unpack("<I", data[4:8])[0]
@@ -46,6 +47,15 @@ def test_pages_round_trip(spark, tmp_path):
     assert warc.archived_pages(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
 
 
+def test_many_copies_of_a_page_are_not_gathered(spark, tmp_path):
+    rows = [(i, "u", "hot" if i % 2 else f"page {i % 20}") for i in range(400)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    want = sorted(map(repr, warc.archived_pages(pages).collect()))
+    folder = f"file://{tmp_path}/w"
+    got = warc.read_archives(warc.write_archives(pages, folder, limits={"most": 3, "heavy": 3}), folder, payloads=False).drop("payload", "url")
+    assert sorted(map(repr, got.collect())) == want and sum("response" in w for w in want) == 11
+
+
 def test_contract_on_pages(spark, sf):
     pages = spark.read.parquet(f"{sf}/pages.parquet")
     got = {r.page_id: r for r in warc.archived_pages(pages).collect()}
