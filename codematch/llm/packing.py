@@ -18,6 +18,9 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from codematch.llm.joins import each_copy
+from codematch.sources.io import materialize
+
 CAPACITY = 2048
 SHARD_ROWS = 5000
 
@@ -66,7 +69,7 @@ def _pack_shard(capacity: int):
     return run
 
 
-def pack(docs: DataFrame, capacity: int = CAPACITY, cluster: Column | None = None, shard_rows: int = SHARD_ROWS) -> DataFrame:
+def pack(docs: DataFrame, capacity: int = CAPACITY, cluster: Column | None = None, shard_rows: int = SHARD_ROWS, copies_at_once: int = 100_000) -> DataFrame:
     """Pieces of the rows of docs(doc_id BIGINT, text, source): doc_id, piece, first_word, length, source, cluster, bin_id.
 
     The length of a document is its number of words and one for its end. A longer one than
@@ -78,15 +81,22 @@ def pack(docs: DataFrame, capacity: int = CAPACITY, cluster: Column | None = Non
     text = F.trim(F.regexp_replace(F.lower(F.coalesce(F.col("text").cast("string"), F.lit(""))), r"\s+", " "))
     words = F.when(text == "", F.lit(0)).otherwise(F.length(text) - F.length(F.replace(text, F.lit(" "), F.lit(""))) + 1)
     own = F.when(text != "", F.xxhash64(text)) if cluster is None else cluster.cast("long")
-    light = docs.select(F.col("doc_id").cast("long").alias("doc_id"), (words + 1).cast("long").alias("total"), F.col("source").cast("string").alias("source"), own.alias("cluster"))
-    n = docs.count()
+    light = docs.select(
+        F.col("doc_id").cast("long").alias("doc_id"), (words + 1).cast("long").alias("total"), F.col("source").cast("string").alias("source"), own.alias("cluster")
+    )
+    # one pass over the texts; equal rows are counted before they are dealt
+    light = materialize(light.groupBy("doc_id", "total", "source", "cluster").agg(F.count(F.lit(1)).alias("copies")), "lengths")
+    n = light.agg(F.sum("copies").alias("n")).first().n or 0
     shards = max(1, -(-n // shard_rows))
-    light = light.withColumn("shard", F.pmod(F.xxhash64("doc_id", "cluster"), F.lit(shards)).cast("long"))
+    light = each_copy(light, "copies", copies_at_once)
+    light = light.withColumn("shard", F.pmod(F.xxhash64("doc_id", "cluster", "copy"), F.lit(shards)).cast("long"))
     full = F.ceil(F.col("total") / capacity).cast("int")
     pieces = light.withColumn("piece", F.explode(F.sequence(F.lit(0), full - 1))).withColumn("first_word", F.col("piece").cast("long") * capacity)
     pieces = pieces.withColumn("length", F.least(F.lit(capacity).cast("long"), F.col("total") - F.col("first_word")))
     kind = "doc_id long, piece int, first_word long, length long, source string, cluster long, bin_id long"
-    whole = pieces.where(F.col("length") == capacity).withColumn("bin_id", F.expr("CAST(-1 AS BIGINT) - pmod(xxhash64(doc_id, cluster, piece, shard, first_word), 4611686018427387904L)"))
     # a full piece has a bin of its own: named by its row, below 0
-    rest = pieces.where(F.col("length") < capacity).groupBy("shard").applyInPandas(_pack_shard(capacity), kind)
-    return whole.select("doc_id", "piece", "first_word", "length", "source", "cluster", "bin_id").unionAll(rest)
+    own_bin = F.expr("CAST(-1 AS BIGINT) - pmod(xxhash64(doc_id, cluster, source, copy, piece), 4611686018427387904L)")
+    whole = pieces.where(F.col("length") == capacity).withColumn("bin_id", own_bin)
+    rest = pieces.where(F.col("length") < capacity).select("doc_id", "piece", "first_word", "length", "source", "cluster", "shard")
+    packed = rest.groupBy("shard").applyInPandas(_pack_shard(capacity), kind)
+    return whole.select("doc_id", "piece", "first_word", "length", "source", "cluster", "bin_id").unionAll(packed)

@@ -46,3 +46,16 @@ def test_pack_keeps_every_word(spark):
             known = [r[c] for r in members if r[c] is not None]
             assert len(known) == len(set(known))
     assert packing.pack(spark.createDataFrame([], "doc_id long, text string, source string")).count() == 0
+
+
+def test_many_equal_rows_are_dealt_over_shards(spark):
+    rows = [(None, "same words here", None)] * 300 + [(7, "w " * 50, "s")] * 40 + [(8, "x " * 25, "t")] * 3
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = packing.pack(docs, capacity=20, shard_rows=20, copies_at_once=7).collect()
+    assert sum(r.length for r in got) == 300 * 4 + 40 * 51 + 3 * 26
+    assert len({r.bin_id for r in got if r.length == 20}) == sum(r.length == 20 for r in got) == 40 * 2 + 3
+    assert len({r.bin_id >> 32 for r in got if r.bin_id >= 0}) > 10
+    own = [r.bin_id for r in got if r.doc_id is None]
+    assert len(own) == len(set(own)) == 300  # copies of a cluster never share a bin
+    empty = spark.createDataFrame([], docs.schema)
+    assert packing.pack(empty).count() == 0
