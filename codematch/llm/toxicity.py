@@ -20,6 +20,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from codematch.llm.workers import released
+
 BUCKETS = 1 << 20
 SAMPLE, RANK = 20_000, 6
 WORD = re.compile(r"[^\W\d_]+")
@@ -165,6 +167,7 @@ def fit(rows: list[np.ndarray], labels: np.ndarray, rank: int = RANK, rounds: in
 
 
 def _features(batches):
+    """(label, text) -> label and the sorted terms of the text."""
     cache = TermCache(int)
     schema = pa.schema([("label", pa.int32()), ("terms", pa.binary())])
     for batch in batches:
@@ -209,10 +212,10 @@ def score_documents(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, th
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     some = learn_rows(labels, "toxic", held_out, sample)
-    rows = docs.join(F.broadcast(some), F.col("doc_id") == F.col("labelled_id")).select("label", "text").mapInArrow(_features, "label int, terms binary").collect()
+    rows = docs.join(F.broadcast(some), F.col("doc_id") == F.col("labelled_id")).select("label", "text").mapInArrow(released(_features), "label int, terms binary").collect()
     distinct = {}  # copies count once
-    for r in rows:
+    for r in sorted(rows, key=lambda r: bytes(r.terms)):  # whatever the order of partitions
         distinct[bytes(r.terms)] = max(r.label, distinct.get(bytes(r.terms), 0))
     machine = fit([np.frombuffer(t, np.int32).astype(np.int64) for t in distinct], np.array(list(distinct.values()), float)) if distinct else Machine(np.empty(0, np.int64), 0.0, np.empty(0), np.empty((0, 1)))
-    out = docs.mapInArrow(_scores(machine), "doc_id long, score double")
+    out = docs.mapInArrow(released(_scores(machine)), "doc_id long, score double")
     return out.select("doc_id", F.coalesce(held_out(F.col("doc_id")), F.lit(False)).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))

@@ -1,7 +1,9 @@
 import random
+import zlib
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from codematch.llm import quality, toxicity
 
@@ -66,3 +68,53 @@ def test_terms_that_tell_only_in_pairs_are_chosen():
     own = [np.flatnonzero(np.isin(machine.terms, r)) for r in rows]
     assert np.mean([(machine.logit(o) > 0) == t for o, t in zip(own, y, strict=True)]) > 0.95
     assert not len(toxicity.choose_terms(rows, np.array([float(rng.random() < 0.5) for _ in rows])))
+
+
+def test_toxicity_equals_a_plain_machine(spark):
+    """The same fit from plain rows, and every score by the sum over all pairs of terms."""
+    d = "/root/testdata/sf0.001"
+    docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
+    texts = {r.doc_id: r.text for r in docs.collect()}
+    cache = toxicity.TermCache(int)
+    known = {}
+    for r in labels.collect():
+        if r.toxic is not None and r.doc_id in texts and zlib.crc32(str(r.doc_id).encode()) % 3 != 1:
+            own = np.array(sorted(toxicity.terms_of(texts[r.doc_id], cache)), np.int32).tobytes()
+            known[own] = max(float(r.toxic), known.get(own, 0.0))
+    rows = [np.frombuffer(k, np.int32).astype(np.int64) for k in sorted(known)]
+    machine = toxicity.fit(rows, np.array([known[k] for k in sorted(known)]))
+    place = {int(t): i for i, t in enumerate(machine.terms)}
+    got = {r.doc_id: r for r in toxicity.score_documents(docs, labels).collect()}
+    assert got.keys() == texts.keys()
+    for i, text in texts.items():
+        own = [place[t] for t in toxicity.terms_of(text, cache) if t in place]
+        logit = machine.w0 + sum(machine.w[a] for a in own) + sum(float(machine.v[a] @ machine.v[b]) for n, a in enumerate(own) for b in own[n + 1 :])
+        assert abs(got[i].score - 1 / (1 + np.exp(-np.clip(logit, -30, 30)))) < 1e-9
+        assert got[i].predicted == (got[i].score >= 0.7) and got[i].held_out == (zlib.crc32(str(i).encode()) % 3 == 1)
+
+
+def test_quality_equals_plain_ridge(spark):
+    """The same weights and calibration from plain sums over all rows."""
+    d = "/root/testdata/sf0.001"
+    docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
+    rows = docs.select("doc_id", "text", (F.pmod(F.xxhash64("doc_id", F.lit("calibrate")), F.lit(5)) == 0).alias("later")).collect()
+    label = {r.doc_id: float(r.quality) for r in labels.collect() if r.quality is not None}
+    learnt = [r for r in rows if r.doc_id in label and zlib.crc32(str(r.doc_id).encode()) % 5 != 0]
+    stats = {r.doc_id: np.array(quality.statistics(r.text.encode() if r.text else None)) for r in rows}
+    x = np.array([stats[r.doc_id] for r in learnt if not r.later])
+    y = np.array([label[r.doc_id] for r in learnt if not r.later])
+    lift = quality.FourierFeatures(x.mean(0), x.std(0))
+    z = lift(x)
+    weights = np.linalg.solve(z.T @ z + quality.RIDGE * len(x) * np.eye(z.shape[1]), z.T @ y)
+    raw = lambda i: float((lift(stats[i][None]) @ weights)[0])
+    bins = {}
+    for r in learnt:
+        if r.later:
+            v = raw(r.doc_id)
+            bins.setdefault(np.floor(min(max(v, -0.5), 1.5) * quality.BINS / 2), []).append((v, label[r.doc_id]))
+    means = [(np.mean([a for a, _ in b]), np.mean([t for _, t in b]), len(b)) for _, b in sorted(bins.items())]
+    centres, values = quality.isotonic(*(np.array(c, float) for c in zip(*means, strict=True)))
+    got = {r.doc_id: r for r in quality.score_documents(docs, labels).collect()}
+    want = {i: float(np.clip(np.interp(raw(i), centres, values), 0, 1)) for i in stats}
+    off = [i for i in want if abs(got[i].score - want[i]) > 1e-6]
+    assert len(got) == len(want) and len(off) <= 0.01 * len(want)  # a raw score at the edge of a bin may fall to either side
