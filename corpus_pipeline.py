@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from codematch.functions.arrays import text_key
 from codematch.llm import jaccard_join, language, packing, repeats, winnowing
+from codematch.llm.joins import left_join
 from codematch.sources.io import materialize, read_table
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
@@ -22,33 +23,39 @@ def keep_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies, the row with the smallest doc_id; rows without words or doc_id stay."""
-    found = materialize(jaccard_join.jaccard_components(docs.select("doc_id", "text")), "components")
-    gone = found.where("n_shingles > 0 AND doc_id IS NOT NULL AND doc_id <> component_id").select("doc_id").distinct()
-    kept = docs.join(gone, "doc_id", "left_anti").select(*COLUMNS)
-    twice = found.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").limit(1).count()
-    if twice:
-        h1, h2 = text_key(F.col("text"))
-        kept = kept.withColumns({"h1": h1, "h2": h2}).dropDuplicates(["doc_id", "h1", "h2"]).select(*COLUMNS)
-    return kept
+    """Of each group of near copies, the row with the smallest doc_id (and text hashes); rows without words or doc_id stay.
+
+    A doc_id that stands on rows with different texts goes only with the texts that have copies.
+    """
+    found = jaccard_join.jaccard_components(docs.select("doc_id", "text"), with_keys=True)
+    found = materialize(found.where("part IS NOT NULL AND doc_id IS NOT NULL"), "components")
+    row = F.struct("doc_id", "h1", "h2")
+    many = found.groupBy(F.col("part").alias("group")).agg(F.min(row).alias("first"), F.count(F.lit(1)).alias("rows")).where("rows > 1")
+    many = materialize(many, "groups")
+    of_group = left_join(found, many, {"part": "group"}, size="rows", found="first")
+    gone = materialize(of_group.where(row != F.col("first")).select("doc_id", "h1", "h2").distinct(), "gone")
+    h1, h2 = text_key(F.col("text"))
+    keyed = docs.withColumns({"h1": h1, "h2": h2})
+    few = F.broadcast(gone) if gone.count() <= winnowing.BROADCAST_ROWS else gone
+    kept = keyed.join(few, ["doc_id", "h1", "h2"], "left_anti")
+    if of_group.where(row == F.col("first")).groupBy("doc_id", "h1", "h2").count().where("count > 1").limit(1).count():
+        named = kept.where("doc_id IS NOT NULL AND text IS NOT NULL").dropDuplicates(["doc_id", "h1", "h2"])
+        kept = named.unionByName(kept.where("doc_id IS NULL OR text IS NULL"))
+    return kept.select(*COLUMNS)
 
 
 def cut_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts without the bytes of repeated passages; a character that a cut splits goes. Documents with nothing left go."""
-    cut = repeats.cut_repeats(docs.select("doc_id", "text"), with_text=True).where("n_removed > 0")
-    changed = cut.select(F.col("doc_id").alias("cut_id"), F.col("node").alias("cut_node"), F.col("kept").alias("left")).dropDuplicates(["cut_id", "cut_node"])
-    joined = docs.join(changed, docs.doc_id.eqNullSafe(F.col("cut_id")) & (text_key(F.col("text"))[0] == F.col("cut_node")), "left")
-    text = F.coalesce("left", "text")
-    return joined.select("doc_id", text.alias("text"), "lang", "source", F.when(F.col("left").isNotNull(), F.length("left").cast("long")).otherwise(F.col("n_chars")).alias("n_chars"), "left").where("left IS NULL OR trim(left) <> ''").select(*COLUMNS)
+    cut = repeats.cut_repeats(docs, with_text=True, carry=("lang", "source", "n_chars"))
+    whole = F.col("n_removed") == 0
+    n_chars = F.when(whole, F.col("n_chars")).otherwise(F.length("kept").cast("long"))
+    left = cut.where(whole | (F.trim("kept") != "")).withColumn("n_chars", n_chars)
+    return left.select("doc_id", F.col("kept").alias("text"), "lang", "source", "n_chars")
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without any window of a benchmark item."""
-    hits = winnowing.contaminated_words(docs.select("text"), read_table(spark, sf_dir, "benchmark").select("item_id", "text")).select("h1", "h2")
-    hits = materialize(hits, "contaminated")
-    h1, h2 = text_key(F.col("text"))
-    few = F.broadcast(hits) if hits.count() <= winnowing.BROADCAST_ROWS else hits
-    return docs.join(few, (h1 == few.h1) & (h2 == few.h2), "left_anti").select(*COLUMNS)
+    return winnowing.clean_documents(docs, read_table(spark, sf_dir, "benchmark").select("item_id", "text"))
 
 
 def pack_bins(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -56,7 +63,13 @@ def pack_bins(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return packing.pack(docs)
 
 
-STAGES = [("language ID", keep_languages), ("n-gram Jaccard join", keep_one_of_near_copies), ("suffix-array dedup", cut_repeated_passages), ("benchmark decontamination", drop_contaminated), ("best-fit packing", pack_bins)]
+STAGES = [
+    ("language ID", keep_languages),
+    ("n-gram Jaccard join", keep_one_of_near_copies),
+    ("suffix-array dedup", cut_repeated_passages),
+    ("benchmark decontamination", drop_contaminated),
+    ("best-fit packing", pack_bins),
+]
 #: Language evidence, byte repeats and packing have no SQL form; tests/llm holds them against brute force.
 ORACLE_SQL = None
 
