@@ -50,3 +50,14 @@ def test_stages_equal_plain_code(spark, sf):
     assert kept == sorted(kept, reverse=True) and kept[-1] > 0.6 * len(rows)
     packed = cp.STAGES[-1][1](spark, docs, sf).collect()
     assert sum(r.length for r in packed) == sum(len(r.text.split()) + 1 for r in docs.collect())
+
+
+def test_an_id_on_several_texts_loses_only_the_copies(spark, sf):
+    near = " ".join(f"w{i}" for i in range(60))
+    rows = [(1, near), (2, near + " more"), (2, "another text of its own that nobody has " * 3), (3, near), (3, near), (None, near), (4, None), (4, "  "), (5, "lone words only")]
+    rows += [(6, "one two three four five six"), (6, "one two three four five six"), (6, "seven eight nine ten eleven twelve")]
+    docs = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    out = cp.keep_one_of_near_copies(spark, docs, sf)
+    want = [(1, near), rows[2], (None, near), (4, None), (4, "  "), (5, "lone words only"), rows[9], rows[11]]
+    assert out.columns == cp.COLUMNS and sorted(repr((r.doc_id, r.text)) for r in out.collect()) == sorted(map(repr, want))
+    assert cp.keep_one_of_near_copies(spark, docs.limit(0), sf).count() == 0
