@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from codematch.operators import encode as en, graph, metrics, querysets, score, search, tokens as tk, train, vectors
@@ -322,14 +323,27 @@ truth AS (SELECT a, b FROM (SELECT x.id AS a, y.id AS b, count(*) AS c FROM gs x
 
 
 def duplicate_truth(spark, sf):
-    """(a, b) of documents with word-3-gram Jaccard similarity of 0.7 or more: an equi-join by gram."""
+    """(a, b) of documents with word-3-gram Jaccard similarity of 0.7 or more.
+
+    Of two such sets the rarest grams of each, as many as it may lack and one more, hold a
+    common one; candidates meet on these only, so grams that very many documents have make
+    no pairs but between documents that hold little else. Whole sets are then compared.
+    """
     words = F.filter(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"), lambda w: w != "")
     rows = read_table(spark, sf, "documents").select(F.col("doc_id").alias("id"), words.alias("w")).where(F.size("w") >= 3)
-    grams = rows.select("id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - 2), lambda i: F.xxhash64(F.slice("w", i, F.lit(3)))))).alias("g"))
-    n = grams.groupBy("id").agg(F.count(F.lit(1)).alias("n"))
-    met = grams.select(F.col("id").alias("a"), "g").join(grams.select(F.col("id").alias("b"), "g"), "g").where("a < b").groupBy("a", "b").agg(F.count(F.lit(1)).alias("c"))
-    both = met.join(n.select(F.col("id").alias("a"), F.col("n").alias("na")), "a").join(n.select(F.col("id").alias("b"), F.col("n").alias("nb")), "b")
-    return both.where("c * 10 >= 7 * (na + nb - c)").select("a", "b")
+    at = F.sequence(F.lit(1), F.size("w") - 2)
+    sets = rows.select("id", F.array_distinct(F.transform(at, lambda i: F.xxhash64(F.slice("w", i, F.lit(3))))).alias("s"))
+    sets = materialize(sets, "gram-sets")
+    grams = sets.select("id", F.size("s").alias("n"), F.explode("s").alias("g"))
+    ranked = grams.join(grams.groupBy("g").agg(F.count(F.lit(1)).alias("df")), "g")
+    ranked = ranked.withColumn("at", F.row_number().over(Window.partitionBy("id").orderBy("df", "g")))
+    first = materialize(ranked.where("df > 1 AND at <= n - CEIL(n * 7 / 10) + 1").select("id", "n", "g"), "rarest")
+    x, y = first.select(F.col("id").alias("a"), F.col("n").alias("na"), "g"), first.select(F.col("id").alias("b"), F.col("n").alias("nb"), "g")
+    met = x.join(y, "g").where("a < b AND 10 * na >= 7 * nb AND 10 * nb >= 7 * na").select("a", "b").distinct()
+    side = lambda c: sets.select(F.col("id").alias(c), F.col("s").alias(f"s{c}"))
+    both = met.join(side("a"), "a").join(side("b"), "b")
+    common = both.select("a", "b", F.size(F.array_intersect("sa", "sb")).alias("c"), (F.size("sa") + F.size("sb")).alias("n"))
+    return common.where("c * 10 >= 7 * (n - c)").select("a", "b")
 
 
 def _pr_sql(ctes: str, pairs: str, steps: list[int], sign: str) -> str:
@@ -345,7 +359,8 @@ WIDE = 128
 
 @query("dedup_pr_ccm", _pr_sql(_DT + ", " + sql.pairs(), "SELECT a, b, hits AS s FROM pairs", STEPS, ">="))
 def dedup_pr_ccm(spark, sf):
-    return metrics.pair_pr(graph.pair_hits(doc_tokens(spark, sf), min(STEPS)).withColumnRenamed("hits", "s"), duplicate_truth(spark, sf), STEPS)
+    t = tk.flatten(materialize(codes_of(spark, sf, "documents", DK, DM, DKS), "codes"))
+    return metrics.pair_pr(graph.pair_hits(t, min(STEPS)).withColumnRenamed("hits", "s"), duplicate_truth(spark, sf), STEPS)
 
 
 def _bit_pr(made, bits):
