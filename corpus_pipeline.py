@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from codematch.functions.arrays import text_key
 from codematch.llm import jaccard_join, language, packing, repeats, winnowing
 from codematch.llm.joins import left_join
-from codematch.sources.io import materialize, read_table
+from codematch.sources.io import discard, materialize, read_table
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
@@ -78,5 +78,7 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over documents."""
     docs = read_table(spark, sf_dir, "documents").select(*COLUMNS)
     for name, stage in STAGES[:-1]:
-        docs = materialize(stage(spark, docs, sf_dir), "stage-" + name.replace(" ", "-"))
+        kept = materialize(stage(spark, docs, sf_dir), "stage-" + name.replace(" ", "-"))
+        discard(docs)
+        docs = kept
     return STAGES[-1][1](spark, docs, sf_dir)
