@@ -66,3 +66,13 @@ def test_rounded_numbers_of_vector_files_keep_their_sign(spark, tmp_path):
     got = sorted(map(repr, map(tuple, entry.queries()["vector_file_import"](spark, str(tmp_path)).collect())))
     want = duckdb.sql(entry.oracle_sql()["vector_file_import"].replace("FROM embeddings", f"FROM '{tmp_path}/embeddings.parquet/*.parquet'")).fetchall()
     assert got == sorted(map(repr, want)) and "-0.0" in got[0]
+
+
+def test_quantile_bounds_are_exact(spark, monkeypatch):
+    from codematch.operators import tokens as tk
+
+    monkeypatch.setattr(tk, "frequencies", lambda tokens: tokens)
+    monkeypatch.setattr(tk, "stoplist", lambda tokens, lo, hi: (lo, hi))
+    assert tk.stoplist_quantiles(spark.range(1, 40_002, 1, 16).toDF("n"), 0.25, 0.95) == (10_001, 38_001)
+    none = spark.range(0).toDF("n")
+    assert tk.stoplist_quantiles(none, 0.25, 0.95) is none
