@@ -11,7 +11,7 @@ before the exact check, which compares whole shingle sets of whole texts.
 
 Skew. Equal sets are one class from the start. The shared order puts parts that many sets
 have last; it is a bounded list that only steers the order, never the result. Keys with more
-than SMALL members make no pairs. Those of them that have their least member by hash and about
+than SMALL members make no pairs. Those of them that have their least member (numbers are hashes) and about
 their size in common become one group, as the many keys of one shared passage do. The members
 of a group are tied to that least member, and these ties are checked (a member's first TIES of
 them). Members of groups that are still in several components are then compared by sketches
@@ -301,12 +301,31 @@ def _group(percent: int, hot):
                 yield pa.RecordBatch.from_pydict({"kind": [0] * len(p), "key": [None] * len(p), "a": p[:, 0], "b": p[:, 1], "n": [None] * len(p)}, _GROUPS)
             m = int(member.sum())
             if m:
-                own = {"kind": [1] * m, "key": _signed(k[member]), "a": v[member], "b": [None] * m, "n": n[member].astype(np.int64)}
+                key, a, size = _homes(k, v, n, at, many, large, very)
+                m = len(key)
+                own = {"kind": [1] * m, "key": key, "a": a, "b": [None] * m, "n": size}
                 yield pa.RecordBatch.from_pydict(own, _GROUPS)
 
     return run
 
 
+def _homes(k, v, n, at, many, large, very) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(key, node, n) of the large groups of a bucket, where keys of one pivot and about one size are one group, as in _merged.
+
+    k and v are sorted, so the pivot, the least member, is first. Keys that are dealt over buckets are not whole here and stay.
+    """
+    home = mix(v[at].view(np.uint64) ^ mix(np.log2(many).astype(np.uint64), 0xD1), 0xD2)
+    if len(very):
+        dealt = very[np.minimum(np.searchsorted(very, k[at]), len(very) - 1)] == k[at]
+        home[dealt] = k[at][dealt]
+    member = np.repeat(large, many)
+    key, node, size = np.repeat(home, many)[member], v[member], n[member]
+    order = np.lexsort((node, key))
+    key, node, size = key[order], node[order], size[order]
+    new = np.r_[True, (key[1:] != key[:-1]) | (node[1:] != node[:-1])]
+    return _signed(key[new]), node[new], size[new].astype(np.int64)
+
+
 def _folded(words: int):
     """(node, sketch) with the sketch as columns q0, q1 and so on, or as one array q."""
     columns = words <= COLUMNS
@@ -326,13 +345,12 @@ def _folded(words: int):
 
 
 def _merged(member: DataFrame) -> DataFrame:
-    """(key, pivot, node, n) of groups of keys: those with one least member by hash, the pivot, and one size up to a factor of two.
+    """(key, pivot, node, n) of groups of keys: those with one least member, the pivot, and one size up to a factor of two.
 
     Sets that share a key share its group, so nothing is lost; the pivot shares a key with each.
     """
-    least = F.min(F.struct(F.xxhash64("node").alias("h"), "node")).alias("least")
-    per = member.groupBy("key").agg(least, F.floor(F.log2(F.count(F.lit(1)).cast("double"))).alias("wide"))
-    home = per.select("key", F.col("least.node").alias("pivot"), F.xxhash64("least.node", "wide").alias("home"))
+    per = member.groupBy("key").agg(F.min("node").alias("pivot"), F.floor(F.log2(F.count(F.lit(1)).cast("double"))).alias("wide"))
+    home = per.select("key", "pivot", F.xxhash64("pivot", "wide").alias("home"))
     return member.join(home, "key").select(F.col("home").alias("key"), "pivot", "node", "n").distinct()
 
 

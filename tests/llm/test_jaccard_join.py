@@ -1,7 +1,9 @@
 import itertools
 import random
+import types
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from codematch.llm import jaccard_join as jj
@@ -115,3 +117,13 @@ def test_similar_sets_meet_in_the_tier_of_the_larger():
         own = jj.tiers(n, 75)[0]
         assert n < jj.TIERS[own][0] and all(own in jj.tiers(k, 75) for k in range(-(-n * 75 // 100), n + 1, max(1, n // 50)))
         assert 8 * len(jj.bit_sketch(np.arange(n, dtype=np.uint64))) >= max(n, *(64 * jj.TIERS[i][1] for i in jj.tiers(n, 75)))
+
+
+def test_keys_of_one_passage_leave_a_bucket_as_one_group():
+    keys, nodes = np.repeat(np.arange(20, dtype=np.uint64), 10), np.tile(np.arange(100, 110), 20)
+    row = [pa.array([0], pa.int32()), *(pa.array([x.tobytes()], pa.binary()) for x in (keys, nodes, np.full(200, 50, np.int32)))]
+    batch = pa.RecordBatch.from_arrays(row, names=["bucket", "keys", "nodes", "sizes"])
+    for very, rows in (([], 10), ([3], 20)):
+        hot = types.SimpleNamespace(value=(np.array(very, np.uint64), np.ones(len(very), np.int64)))
+        found = pa.Table.from_batches(list(jj._group(75, hot)(iter([batch])))).to_pylist()
+        assert len(found) == rows and {r["a"] for r in found} == set(range(100, 110)) and {r["kind"] for r in found} == {1}
