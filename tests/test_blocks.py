@@ -60,3 +60,11 @@ def test_the_local_method_gives_components_beyond_its_bound(spark, monkeypatch):
     monkeypatch.setattr(graph, "LOCAL_EDGES", 20)
     pairs = spark.createDataFrame([(i, i + 2) for i in range(60)], "a long, b long")
     assert rows(graph.components(pairs, method="local")) == [(i, i % 2) for i in sorted(range(62), key=lambda i: repr((i, i % 2)))]
+
+
+def test_pairs_of_hits_equal_the_join(spark, monkeypatch):
+    monkeypatch.setattr(blocks, "CELLS", 50)
+    monkeypatch.setattr(blocks, "OUT_ROWS", 7)
+    codes = some_codes(spark)
+    got = blocks.hit_pairs(codes, 8, 2)
+    assert rows(got) == rows(graph.pair_hits(tk.flatten(codes), 2).select("a", "b", "hits"))
