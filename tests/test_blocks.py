@@ -68,3 +68,20 @@ def test_pairs_of_hits_equal_the_join(spark, monkeypatch):
     codes = some_codes(spark)
     got = blocks.hit_pairs(codes, 8, 2)
     assert rows(got) == rows(graph.pair_hits(tk.flatten(codes), 2).select("a", "b", "hits"))
+
+
+def test_forests_connect_what_all_pairs_connect(spark, monkeypatch):
+    monkeypatch.setattr(blocks, "CELLS", 50)
+    monkeypatch.setattr(blocks, "EDGES", 40)
+    codes = some_codes(spark)
+    tokens = tk.flatten(codes)
+    pairs = graph.pair_hits(tk.stoplist(tokens, 5, 40), 2).cache()
+    place = F.shiftright("token", 16).bitwiseAND(F.lit(0xFFFF)).cast("int")
+    kept = tk.stoplist(tokens, 5, 40).groupBy("id").agg(F.collect_set(place).alias("kept"))
+    fine = F.transform("fine", lambda f, i: F.when(F.array_contains("kept", i), f).otherwise(F.lit(blocks.MARK).cast("smallint")))
+    counts, forest = blocks.hit_forests(codes.join(kept, "id").withColumn("fine", fine), 8, 2, block=30)
+    assert rows(counts) == rows(pairs.groupBy("hits").count())
+    every, few = [(p.a, p.b, p.hits) for p in pairs.collect()], [(p.a, p.b, p.s) for p in forest.collect()]
+    assert len(few) < len(every) / 2
+    for least in range(2, 9):
+        assert graph.union_find([p[:2] for p in few if p[2] >= least]) == graph.union_find([p[:2] for p in every if p[2] >= least])
