@@ -14,9 +14,10 @@ have last; it is a bounded list that only steers the order, never the result. Ke
 than SMALL members make no pairs. Those of them that have their least member (numbers are hashes) and about
 their size in common become one group, as the many keys of one shared passage do. The members
 of a group are tied to that least member, and these ties are checked (a member's first TIES of
-them). Members of groups that are still in several components are then compared by sketches
+them). Of the groups that are still in several components, those of up to MEET members are sent
+whole to a task each, which compares all their pairs by sketches. Members of larger ones are compared
 with PIVOTS others of the group, and a member's first TIES near ones are checked; this is done
-TURNS times with other pivots. What is left in different components meets in pairs, by a join
+TURNS times with other pivots. What is left of these in different components meets in pairs, by a join
 that ranges of size bound and whose rows are only pairs with near sketches. A large group is
 dealt over blocks of its members there, and a set with many partners over salts when texts are
 fetched.
@@ -53,6 +54,8 @@ TIERS = ((1024, 16), (4096, 64), (12288, 128), (1 << 62, 256))
 COLUMNS = 64
 #: Ties of a member that are checked first.
 TIES = 4
+#: A torn group of so many members or fewer is compared whole in one task.
+MEET = 64
 #: Pivots of a torn group in a turn, and turns before its members meet in pairs; pivots are broadcast up to a number of rows.
 PIVOTS, TURNS, BROADCAST_PIVOTS = 64, 2, 100_000
 #: Bound of the list of frequent keys; a task reports keys that it met so often among WINDOW_KEYS of them.
@@ -374,6 +377,37 @@ def _pivot_ties(rest: DataFrame, coarse: DataFrame, percent: int, turn: int) ->
     return ties
 
 
+def _near_in_group(percent: int):
+    """(a, b) of one torn group (key, node, part, n, sketch): pairs of different components whose sizes and sketches are near."""
+
+    def run(table: pa.Table) -> pa.Table:
+        node, part, n = (table.column(c).to_numpy() for c in ("node", "part", "n"))
+        sketch = table.column("sketch").to_pylist()
+        x, y = np.triu_indices(len(node), 1)
+        fit = (part[x] != part[y]) & (np.minimum(n[x], n[y]) * 100 >= np.maximum(n[x], n[y]) * percent)
+        x, y = x[fit], y[fit]
+        words = np.array([len(q) // 8 for q in sketch])
+        both = np.minimum(words[x], words[y])
+        near = np.zeros(len(x), bool)
+        for width in np.unique(both):
+            at = np.flatnonzero(both == width)
+            own, place = np.unique(np.r_[x[at], y[at]], return_inverse=True)
+            q = np.array([folded(sketch[i], int(width)) for i in own]).view(np.uint64)
+            for some in np.array_split(np.arange(len(at)), len(at) * int(width) // 1_000_000 + 1):
+                apart = np.bitwise_count(q[place[some]] ^ q[place[len(at) + some]]).sum(1, dtype=np.int64)
+                near[at[some]] = apart * (100 + percent) <= (n[x[at[some]]] + n[y[at[some]]]) * (100 - percent)
+        a, b = node[x[near]], node[y[near]]
+        return pa.table({"a": pa.array(np.minimum(a, b), pa.int64()), "b": pa.array(np.maximum(a, b), pa.int64())})
+
+    return run
+
+
+def _pairs_of_whole(rest: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
+    """(a, b) of torn groups that are small enough to be compared whole; each member is sent once."""
+    sketched = rest.select("key", "node", "part", "n").join(nodes.select("node", "sketch"), "node")
+    return sketched.groupBy("key").applyInArrow(_near_in_group(percent), "a long, b long").distinct()
+
+
 def _met(rest: DataFrame, percent: int, block: int) -> tuple[DataFrame, DataFrame]:
     """Two sides of rest(key, node, part, n, ...) that meet on (key, size, i, j): each pair of a group of about the same size once.
 
@@ -473,11 +507,16 @@ def _dealt(pairs: DataFrame, texts: DataFrame, end: str, by: str, busy: list[Dat
     return salted.join(side, salted[rep].eqNullSafe(F.col("own")) & (F.col("salt") == F.col("at"))).drop("own", "at", "salt", rep)
 
 
-def _verified(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, width: int, percent: int, other: dict, bits: int = 64) -> DataFrame:
-    """Of the candidate pairs (a, b), those that are links."""
-    end = lambda x: nodes.select(*(F.col(c).alias(f"{c}_{x}") for c in ("rep", "n", "sketch")), F.col("node").alias(x))
-    near = pairs.join(end("a"), "a").join(end("b"), "b").select("a", "b", "n_a", "n_b", "sketch_a", "sketch_b", "rep_a", "rep_b")
-    near = materialize(near.mapInArrow(released(_near_by_sketch(percent)), "a long, b long, rep_a long, rep_b long"), "near")
+def _verified(
+    pairs: DataFrame, nodes: DataFrame, docs: DataFrame, width: int, percent: int, other: dict, bits: int = 64, compared: bool = False
+) -> DataFrame:
+    """Of the candidate pairs (a, b), those that are links. compared: their sketches are known to be near and stay where they are."""
+    own = ("rep",) if compared else ("rep", "n", "sketch")
+    end = lambda x: nodes.select(*(F.col(c).alias(f"{c}_{x}") for c in own), F.col("node").alias(x))
+    near = pairs.join(end("a"), "a").join(end("b"), "b").select("a", "b", *(f"{c}_{x}" for c in (*own[1:], "rep") for x in "ab"))
+    if not compared:
+        near = near.mapInArrow(released(_near_by_sketch(percent)), "a long, b long, rep_a long, rep_b long")
+    near = materialize(near, "near")
     wanted = materialize(near.select(F.explode(F.array("rep_a", "rep_b")).alias("rep")).distinct(), "wanted")
     ids = F.broadcast(wanted) if wanted.count() <= BROADCAST_IDS else wanted
     texts = docs.join(ids, docs.doc_id.eqNullSafe(ids.rep), "left_semi")
@@ -496,12 +535,12 @@ def _components(links: DataFrame) -> DataFrame:
 
 
 def _torn(member: DataFrame, parts: DataFrame) -> DataFrame:
-    """(key, node, n, part) of the groups with members in several components; of groups with the same members one: count and two sums tell them."""
+    """(key, node, n, part, c) of the groups with members in several components, c members each; of groups with the same members one: count and two sums tell them."""
     part = F.coalesce("component", "node").alias("part")
     placed = materialize(member.join(parts.withColumnRenamed("id", "node"), "node", "left").select("key", "node", "n", part), "placed")
     sums = (F.sum(F.shiftright(F.xxhash64(F.lit(i), "node"), 24)).alias(f"h{i}") for i in (0, 1))
     per = placed.groupBy("key").agg(F.min("part").alias("p0"), F.max("part").alias("p1"), F.count(F.lit(1)).alias("c"), *sums)
-    torn = per.where("p0 <> p1").groupBy("c", "h0", "h1").agg(F.min("key").alias("key")).select("key")
+    torn = per.where("p0 <> p1").groupBy("c", "h0", "h1").agg(F.min("key").alias("key")).select("key", "c")
     rest = materialize(placed.join(torn, "key"), "torn")
     discard(placed)
     return rest
@@ -581,29 +620,36 @@ def jaccard_components(
     if large:
         join_parts = lambda more: _components(parts.select(F.col("id").alias("a"), F.col("component").alias("b")).unionAll(more))
         rest = _torn(member, parts)
-        words = TIERS[0][1]
-        torn_nodes = nodes.join(rest.select("node").distinct(), "node", "left_semi").select("node", "sketch")
-        coarse = torn_nodes.mapInArrow(released(_folded(words)), "node long, " + ", ".join(f"q{i} long" for i in range(words)))
-        coarse = materialize(coarse.select("node", F.struct(*(f"q{i}" for i in range(words))).alias("q")), "coarse")
-        for turn in range(TURNS):
-            ties = _pivot_ties(rest, coarse, percent, turn)
-            more = verified(ties) if ties.limit(1).count() else None
-            discard(ties)
-            if more is None or not more.limit(1).count():
-                break
-            parts = join_parts(more)
-            discard(rest)
-            rest = _torn(member, parts)
-        discard(coarse)
+        torn = materialize(rest.select("node").distinct(), "torn-ids")
+        ids = F.broadcast(torn) if torn.count() <= BROADCAST_IDS else torn
+        torn_nodes = materialize(nodes.join(ids, "node", "left_semi"), "torn-nodes")
+        checked = lambda pairs, **how: _verified(pairs, torn_nodes, docs, width, percent, other, digest_bits, **how)
+        whole = materialize(_pairs_of_whole(rest.where(F.col("c") <= MEET), torn_nodes, percent), "whole")
+        first, rest = rest, materialize(rest.where(F.col("c") > MEET), "large")
+        discard(first, member, torn)
+        if rest.limit(1).count():
+            words = TIERS[0][1]
+            of_large = torn_nodes.join(rest.select("node").distinct(), "node", "left_semi").select("node", "sketch")
+            coarse = of_large.mapInArrow(released(_folded(words)), "node long, " + ", ".join(f"q{i} long" for i in range(words)))
+            coarse = materialize(coarse.select("node", F.struct(*(f"q{i}" for i in range(words))).alias("q")), "coarse")
+            for turn in range(TURNS):
+                ties = _pivot_ties(rest, coarse, percent, turn)
+                more = checked(ties) if ties.limit(1).count() else None
+                discard(ties)
+                if more is None or not more.limit(1).count():
+                    break
+                parts = join_parts(more)
+                before, rest = rest, _torn(rest.select("key", "node", "n"), parts)
+                discard(before)
+            discard(coarse)
         of_tier = lambda i: F.count_if(F.expr(f"n < {TIERS[i][0]} AND n * 100 >= {TIERS[i - 1][0] if i else 0} * {percent}"))
         found = rest.agg(*(of_tier(i).alias(f"t{i}") for i in range(len(TIERS)))).first()
-        cross = [_pairs_of_tier(rest, nodes, i, percent, block) for i in range(len(TIERS)) if found[i]]
-        if cross:
-            cross = materialize(reduce(DataFrame.unionAll, cross).distinct(), "cross")
-            if cross.limit(1).count():
-                parts = join_parts(verified(cross))
-            discard(cross)
-        discard(rest, member)
+        cross = [_pairs_of_tier(rest, torn_nodes, i, percent, block) for i in range(len(TIERS)) if found[i]]
+        cross = materialize(reduce(DataFrame.unionAll, cross, whole).distinct(), "cross")
+        if cross.limit(1).count():
+            parts = join_parts(checked(cross, compared=True))
+        discard(cross, whole, torn_nodes)
+        discard(rest)
     mark = nodes.select("node", "rep").join(parts.withColumnRenamed("id", "node"), "node", "left")
     mark = mark.select("node", "rep", F.coalesce("component", "node").alias("part"))
     least_id = mark.groupBy("part").agg(F.min("rep").alias("component_id"))

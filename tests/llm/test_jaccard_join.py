@@ -7,7 +7,7 @@ import pyarrow as pa
 import pytest
 
 from codematch.llm import jaccard_join as jj
-from codematch.llm.shingles import WordHashes, shingle_set
+from codematch.llm.shingles import WordHashes, shingle_set, word_hash, word_hashes
 
 
 def shingles(text):
@@ -127,3 +127,43 @@ def test_keys_of_one_passage_leave_a_bucket_as_one_group():
         hot = types.SimpleNamespace(value=(np.array(very, np.uint64), np.ones(len(very), np.int64)))
         found = pa.Table.from_batches(list(jj._group(75, hot)(iter([batch])))).to_pylist()
         assert len(found) == rows and {r["a"] for r in found} == set(range(100, 110)) and {r["kind"] for r in found} == {1}
+
+
+def test_words_have_one_hash_on_every_way():
+    rng = random.Random(3)
+    texts = [bytes(rng.choice(b"ab \t\n\r\x0b\x0c\x1c\x85\xa0\0\xff") for _ in range(rng.randint(0, 90))) for _ in range(500)]
+    texts += [b"", b" ", b"a\0 a \0a", b"x" * 5000, b" ".join(b"q" * k for k in range(70)), ("\u4e2d\u6587" * 300).encode()]
+    for text in texts:
+        assert word_hashes(text).tolist() == [word_hash(w) for w in text.split()]
+    long = " ".join(f"Word{i}" for i in range(300))  # by the bytes of the text; its passages by the table of words
+    parts = [long.split()[i : i + 20] for i in range(281)]
+    alone = [shingle_set(" ".join(p).encode(), 5, WordHashes()) for p in parts]
+    assert np.array_equal(np.unique(np.concatenate(alone)), shingle_set(long.encode(), 5, WordHashes()))
+
+
+def test_small_torn_groups_meet_whole_and_send_a_member_once(spark, monkeypatch):
+    """Thirty documents of one passage and four of others: no turns of pivots, one sketch for each row of the group, the pairs of all tiers."""
+    rng, words = random.Random(4), []
+    for size in (60, 900, 1100, 5000):
+        own = [f"w{rng.randint(0, 10**6)}" for _ in range(size)]
+        words += [own, [*own[: size // 30], *own[size // 20 :]]]
+    sets = [shingle_set(" ".join(w).encode(), 5, WordHashes()) for w in words]
+    nodes = spark.createDataFrame([(i, bytearray(jj.bit_sketch(s))) for i, s in enumerate(sets)], "node long, sketch binary")
+    rest = spark.createDataFrame([(1, i, i if i != 3 else 2, len(s)) for i, s in enumerate(sets)], "key long, node long, part long, n long")
+    assert sorted(map(tuple, jj._pairs_of_whole(rest, nodes, 75).collect())) == [(0, 1), (4, 5), (6, 7)]
+    passage = [f"p{i}" for i in range(40)]
+    rows = [(i, " ".join([*(f"d{i}x{j}" for j in range(60)), *passage])) for i in range(30)]
+    rows += [(40 + i, " ".join(f"d{i % 2}x{j}" for j in range(i, 60))) for i in range(4)]
+    monkeypatch.setattr(jj, "_pivot_ties", lambda *a: pytest.fail("a group of MEET members or fewer takes no turn"))
+    got = jj.jaccard_components(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted((repr(r.doc_id), r.n_shingles, repr(r.component_id)) for r in got) == brute(rows)
+
+
+@pytest.mark.parametrize("meet", [0, 12])
+def test_large_torn_groups_take_turns_as_before(spark, monkeypatch, meet):
+    monkeypatch.setattr(jj, "SMALL", 2)
+    monkeypatch.setattr(jj, "MEET", meet)
+    monkeypatch.setattr(jj, "PIVOTS", 3)
+    rows = corpus(6)
+    got = jj.jaccard_components(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted((repr(r.doc_id), r.n_shingles, repr(r.component_id)) for r in got) == brute(rows)
