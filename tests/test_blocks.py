@@ -85,3 +85,36 @@ def test_forests_connect_what_all_pairs_connect(spark, monkeypatch):
     assert len(few) < len(every) / 2
     for least in range(2, 9):
         assert graph.union_find([p[:2] for p in few if p[2] >= least]) == graph.union_find([p[:2] for p in every if p[2] >= least])
+
+
+def test_hits_are_counted_without_a_row_or_a_comparison_for_each_pair(spark, monkeypatch):
+    compared = []
+    monkeypatch.setattr(blocks, "meet", lambda *a, **k: compared.append(a))
+    rng = random.Random(5)
+    codes = spark.createDataFrame([(i, rng.randrange(4), rng.randrange(4), [rng.choice((0, 0, 1, 31, 100)) for _ in range(16)], None) for i in range(400)], KIND)
+    codes = codes.unionAll(codes.where("id < 40").selectExpr("id + 1000", "c1", "c2", "fine", "set_id"))
+    pairs = graph.pair_hits(tk.flatten(codes), 5)
+    assert rows(blocks.count_hits(codes, 16, 5)) == rows(pairs.groupBy("hits").count()) and not compared
+
+
+def test_near_sets_of_grams_are_those_of_all_pairs(spark, monkeypatch):
+    from codematch.operators import grams
+
+    for name, value in (("FREQUENT", 2), ("LISTED", 30), ("PACKED", 500), ("HELD", 64)):
+        monkeypatch.setattr(grams, name, value)
+    rng = random.Random(6)
+    words = ["Été", "b", "c2", "d", "e", "Über", "g", "h"]
+    texts = {i: [rng.choice(words) for _ in range(rng.choice((0, 1, 2, 3, 5, 40)))] for i in range(80)}
+    for i in range(80, 160):
+        w = list(texts[rng.randrange(i)])
+        for _ in range(rng.randrange(4)):
+            if w:
+                w[rng.randrange(len(w))] = rng.choice(words)
+        texts[i] = w
+    df = spark.createDataFrame([(i, (" ,"[i % 2]).join(w) + "!") for i, w in texts.items()] + [(900, None)], "id long, text string").repartition(3)
+    sets = {i: {tuple(x.lower() for x in w[j : j + 3]) for j in range(len(w) - 2)} for i, w in texts.items()}
+    want = {(a, b) for a in sets for b in sets if a < b and sets[a] and sets[b] and 10 * len(sets[a] & sets[b]) >= 7 * len(sets[a] | sets[b])}
+    members, near = grams.near_classes(df)
+    of, near = dict(members.collect()), {tuple(p) for p in near.collect()}
+    assert of.keys() == {i for i, s in sets.items() if s}
+    assert len(want) > 20 and want == {(a, b) for a in of for b in of if a < b and (of[a] == of[b] or (min(of[a], of[b]), max(of[a], of[b])) in near)}
