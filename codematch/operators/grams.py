@@ -7,7 +7,7 @@ tells them, so only rare grams are dealt out; any order finds all pairs. Whole s
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -38,9 +38,10 @@ def _flat(col: pa.Array, kind=np.uint64) -> tuple[np.ndarray, np.ndarray]:
 
 
 def gram_sets(texts: DataFrame, short: bool = False) -> DataFrame:
-    """(id, n, one, two, s): the distinct 3-grams of the words of text as sorted 64-bit hashes, their number and a digest of 128 bits; sets without any are absent.
+    """(id, s): the distinct 3-grams of the words of text as sorted 64-bit hashes; sets without any are absent.
 
-    short: s has the first 32 bits of each hash, in the same order.
+    short: (id, n, one, two, s, sketch), with the number of grams, a digest of 128 bits, the first 32 bits of
+    each hash in the same order, and a sketch for sketches_near.
     """
     words = F.filter(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"), lambda w: w != "")
     rows = texts.select("id", F.transform(words, lambda w: F.xxhash64(w)).alias("w")).where(F.size("w") >= 3)
@@ -59,12 +60,40 @@ def gram_sets(texts: DataFrame, short: bool = False) -> DataFrame:
             g, row = g[new], row[new]
             n = np.bincount(row, minlength=batch.num_rows)
             start = np.r_[0, np.cumsum(n)]
+            each = [g[lo:hi] for lo, hi in zip(start[:-1], start[1:], strict=True)]
+            if not short:
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([x.tobytes() for x in each], pa.binary())], names=["id", "s"])
+                continue
             one, two = (np.add.reduceat(_mix(g, salt), start[:-1]).view(np.int64) for salt in (0x1234567, 0x7654321))
-            s = (g >> np.uint64(32)).astype(np.uint32).view(np.int32) if short else g.view(np.int64)
-            s = pa.ListArray.from_arrays(pa.array(start, pa.int32()), pa.array(s))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n), pa.array(one), pa.array(two), s], names=["id", "n", "one", "two", "s"])
+            s = pa.ListArray.from_arrays(pa.array(start, pa.int32()), pa.array((g >> np.uint64(32)).astype(np.uint32).view(np.int32)))
+            sketches = pa.array([_sketch(x) for x in each], pa.binary())
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n), pa.array(one), pa.array(two), s, sketches], names=["id", "n", "one", "two", "s", "sketch"])
+
+    return rows.mapInArrow(run, "id long, n long, one long, two long, s array<int>, sketch binary" if short else "id long, s binary")
+
+
+def _sketch(g: np.ndarray) -> bytes:
+    """The size of a set, and by the last bits of its hashes the parities of at least twice as many places."""
+    width = max(64, 1 << (2 * len(g) - 1).bit_length())
+    odd = np.bincount((g & np.uint64(width - 1)).astype(np.int64), minlength=width) & 1
+    return len(g).to_bytes(8, "little") + np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
+
+
+def sketches_near(x: bytes, y: bytes) -> bool:
+    """False only if the similarity is under 7 / 10: each hash that one of two sets lacks changes one parity, so sets differ in as many or more."""
+    n = int.from_bytes(x[:8], "little") + int.from_bytes(y[:8], "little")
+    p, q = sorted((np.frombuffer(z, np.uint64, offset=8) for z in (x, y)), key=len)
+    apart = p ^ np.bitwise_xor.reduce(q.reshape(-1, len(p)), axis=0)
+    return 17 * int(np.bitwise_count(apart).sum()) <= 3 * n
+
 
-    return rows.mapInArrow(run, f"id long, n long, one long, two long, s array<{'int' if short else 'long'}>")
+def sets_near(x: bytes, y: bytes) -> bool:
+    """Whether the similarity of two sets of sorted hashes is 7 / 10 or more."""
+    p, q = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
+    at = np.searchsorted(p, q)
+    at[at == len(p)] = 0
+    c = int((p[at] == q).sum())
+    return c * 10 >= 7 * (len(p) + len(q) - c)
 
 
 def frequent_grams(sets: DataFrame) -> tuple[np.ndarray, np.ndarray]:
@@ -179,38 +208,28 @@ def met_sets(sets: DataFrame, total: int) -> DataFrame:
     return dealt.groupBy("bucket").applyInArrow(meet, "a long, b long").distinct()
 
 
-def _near(texts: DataFrame, met: DataFrame) -> DataFrame:
-    """Of the pairs met(a, b), a < b, those with a similarity of 7 / 10 or more; texts(id, text).
+def _compared(pairs: DataFrame, items: DataFrame, near: Callable[[bytes, bytes], bool]) -> DataFrame:
+    """Of the pairs (a, b), a < b, those for which near(s of a, s of b) holds; items(id, s) may be more.
 
-    Pairs go to the least neighbour of their first document, so that a document's set goes once to where a group of like documents is compared.
+    Pairs go to the least neighbour of their first one, so that an item goes once to where a group of like ones is compared.
     """
-    least = met.groupBy(F.col("b").alias("a")).agg(F.min("a").alias("home"))
-    pairs = materialize(met.join(least, "a", "left").select(F.coalesce("home", "a").alias("home"), "a", "b"), "homes")
+    least = pairs.groupBy(F.col("b").alias("a")).agg(F.min("a").alias("home"))
+    pairs = materialize(pairs.join(least, "a", "left").select(F.coalesce("home", "a").alias("home"), "a", "b"), "homes")
     ends = pairs.select("home", F.col("a").alias("id")).unionAll(pairs.select("home", "b")).distinct()
-    whole = gram_sets(texts.join(small(pairs.select(F.col("a").alias("id")).unionAll(pairs.select("b")).distinct()), "id", "left_semi"))
-    sent = whole.select("id", "s").join(small(ends), "id").select("home", F.col("id").alias("a"), F.lit(None).cast("long").alias("b"), "s")
+    sent = items.join(small(ends), "id").select("home", F.col("id").alias("a"), F.lit(None).cast("long").alias("b"), "s")
     spots = max(24, -(-pairs.count() // 20_000))
-    rows = pairs.withColumn("s", F.lit(None).cast("array<long>")).unionAll(sent).withColumn("spot", F.pmod(F.xxhash64("home"), F.lit(spots)).cast("int"))
+    rows = pairs.withColumn("s", F.lit(None).cast("binary")).unionAll(sent).withColumn("spot", F.pmod(F.xxhash64("home"), F.lit(spots)).cast("int"))
 
     def compare(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         asked, of = [], {}
         for batch in batches:
-            a, b, s = (batch.column(c) for c in ("a", "b", "s"))
-            is_pair = b.is_valid().to_numpy(zero_copy_only=False)
-            asked.append(np.c_[a.to_numpy()[is_pair], b.fill_null(0).to_numpy()[is_pair]])
-            values, row = _flat(s, np.uint64)
-            cuts = np.searchsorted(row, np.arange(len(a) + 1))
-            for i in np.flatnonzero(~is_pair):
-                of[a[int(i)].as_py()] = values[cuts[i] : cuts[i + 1]].copy()
-        p = np.concatenate(asked)
-        keep = np.zeros(len(p), bool)
-        for i, (a, b) in enumerate(p.tolist()):
-            x, y = of[a], of[b]
-            at = np.searchsorted(x, y)
-            at[at == len(x)] = 0
-            c = int((x[at] == y).sum())
-            keep[i] = c * 10 >= 7 * (len(x) + len(y) - c)
-        yield pa.RecordBatch.from_arrays([pa.array(p[keep, 0]), pa.array(p[keep, 1])], names=["a", "b"])
+            for a, b, s in zip(*(batch.column(c).to_pylist() for c in ("a", "b", "s")), strict=True):
+                if b is None:
+                    of[a] = s
+                else:
+                    asked.append((a, b))
+        kept = [p for p in asked if near(of[p[0]], of[p[1]])]
+        yield pa.RecordBatch.from_arrays([pa.array([p[i] for p in kept], pa.int64()) for i in (0, 1)], names=["a", "b"])
 
     return rows.repartition(spots, "spot").groupBy("spot").applyInArrow(compare, "a long, b long")
 
@@ -223,5 +242,7 @@ def near_classes(texts: DataFrame) -> tuple[DataFrame, DataFrame]:
     copies = members.where("id <> class").select("id")
     total = sets.agg(F.sum("n").alias("n")).first().n or 0
     met = materialize(met_sets(sets.join(small(copies), "id", "left_anti").select("id", "n", "s"), total), "met")
-    discard(sets)
-    return members, materialize(_near(texts, met), "near")
+    like = materialize(_compared(met, sets.select("id", F.col("sketch").alias("s")), sketches_near), "like")
+    discard(sets, met)
+    asked = like.select(F.col("a").alias("id")).unionAll(like.select("b")).distinct()
+    return members, materialize(_compared(like, gram_sets(texts.join(small(asked), "id", "left_semi")), sets_near), "near")
