@@ -118,3 +118,17 @@ def test_near_sets_of_grams_are_those_of_all_pairs(spark, monkeypatch):
     of, near = dict(members.collect()), {tuple(p) for p in near.collect()}
     assert of.keys() == {i for i, s in sets.items() if s}
     assert len(want) > 20 and want == {(a, b) for a in of for b in of if a < b and (of[a] == of[b] or (min(of[a], of[b]), max(of[a], of[b])) in near)}
+
+
+def test_the_best_items_are_found_without_scores_of_all(spark, monkeypatch):
+    rng = random.Random(8)
+    kinds = [(rng.randrange(3), rng.randrange(3), [rng.randrange(4) for _ in range(8)]) for _ in range(150)]
+    codes = spark.createDataFrame([(i * 7 % 601, *rng.choice(kinds)) for i in range(601)], "id long, c1 int, c2 int, fine array<smallint>")
+    bought = spark.createDataFrame([(s, rng.randrange(640)) for s in range(30) for _ in range(s)] + [(40, i) for i in range(601)], "set_id long, id long")
+    t = tk.flatten(codes)
+    once = bought.distinct()
+    want = rows(querysets.batch_search(once.join(t, "id").select("set_id", "token"), t, top=10, members=once).select("set_id", "id", "score", "rnk"))
+    monkeypatch.setattr(querysets, "FIRST", 4)
+    for size in (2_000_000, 100):
+        monkeypatch.setattr(querysets, "ITEMS", size)
+        assert rows(querysets.recommend(bought, codes, 8, 10).select("set_id", "id", "score", "rnk")) == want
